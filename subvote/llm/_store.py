@@ -10,6 +10,8 @@ from pyspark.sql import DataFrame, SparkSession
 _own: dict[str, str] = {}
 #: Runtime switch of Spark that drops the shuffle files of a finished execution.
 _CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+#: Rows that go to a Python worker at once; texts are long, so fewer than Spark's default.
+_BATCH, _BATCH_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch", "1000"
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -33,19 +35,23 @@ def materialize(df: DataFrame, name: str, **options: str) -> DataFrame:
     """
     spark = df.sparkSession
     path = new_path(spark, name)
-    before = spark.conf.get(_CLEAN, "false")
+    before = {_CLEAN: spark.conf.get(_CLEAN, "false"), _BATCH: spark.conf.get(_BATCH, "10000")}
     spark.conf.set(_CLEAN, "true")
+    spark.conf.set(_BATCH, _BATCH_ROWS)
     try:
         df.write.options(**options).parquet(path)
     finally:
-        spark.conf.set(_CLEAN, before)
+        for key, value in before.items():
+            spark.conf.set(key, value)
     out = spark.read.schema(df.schema).parquet(path)
     out._subvote_path = path
     return out
 
 
-def discard(df: DataFrame) -> None:
-    """Delete a table made by `materialize` that no later plan reads."""
+def discard(df: DataFrame | None) -> None:
+    """Delete a table made by `materialize` that no later plan reads; anything else is left alone."""
+    if not hasattr(df, "_subvote_path"):
+        return
     spark = df.sparkSession
     path = spark._jvm.org.apache.hadoop.fs.Path(df._subvote_path)
     path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)

@@ -88,7 +88,7 @@ class FingerprintIndex:
 
         With `keep`, the batch becomes part of the index.
         """
-        seen = materialize(self.occurrences(docs), "marks")
+        seen, twice = materialize(self.occurrences(docs), "marks"), None
         own = seen.groupBy("mark").agg(F.count("*").alias("times"), F.min(F.struct("doc_id", "first", "n")).alias("where"))
         own = materialize(own, "mark-counts") if self.runs or keep else own
         if self.runs:
@@ -104,7 +104,8 @@ class FingerprintIndex:
         hits = materialize(hits, "hits")
         if keep:
             self._append(own)
-        discard(seen)
+        for table in (seen, own, twice):
+            discard(table)
         return hits
 
     def _lookup(self, wanted: DataFrame) -> DataFrame:
@@ -123,6 +124,12 @@ class FingerprintIndex:
         if len(self.runs) > self.fan_out:
             self.compact()
 
+    def drop(self) -> None:
+        """Delete all runs, for an index that is not wanted any longer."""
+        for run in self.runs:
+            discard(run)
+        self.runs = []
+
     def compact(self) -> None:
         """Merge all runs into one."""
         old = self.runs
@@ -192,6 +199,7 @@ def remove_repeats(docs: DataFrame, size: int = 20, batches: int = 2, gram: int
             part = part.filter(below | F.col("doc_id").isNull() if low is None else below)
         found = index.add(part, keep=i < len(cuts))
         hits = found if hits is None else hits.union(found)
+    index.drop()
     first_places = materialize(earliest(docs, hits, size), "first-places")
     return drop_windows(docs, hits, first_places, size)
 
