@@ -49,11 +49,11 @@ def groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", hash
     found = _winner(keys, ["_h"])
     several = materialize(found.filter("_size > 1").select("_h", "_best", "_size"), "dedup-groups")
 
-    members = materialize(base.join(several, "_h").select("_h", "_id", "_chars", "_norm", "_best"), "dedup-members")
+    members = materialize(base.join(several.hint("merge"), "_h").select("_h", "_id", "_chars", "_norm", "_best"), "dedup-members")
     stays = members.filter((F.col("_id").eqNullSafe(F.col("_best.id"))) & (F.col("_chars") == -F.col("_best.c")))
-    reference = stays.groupBy("_h").agg(F.min("_norm").alias("_ref"))
+    reference = materialize(stays.groupBy("_h").agg(F.min("_norm").alias("_ref")), "dedup-references")
     differs = materialize(
-        members.join(reference, "_h").filter(F.col("_norm") != F.col("_ref")).select("_h", "_id", "_chars", "_norm"),
+        members.join(reference.hint("merge"), "_h").filter(F.col("_norm") != F.col("_ref")).select("_h", "_id", "_chars", "_norm"),
         "dedup-collisions",
     )
     if differs.isEmpty():
