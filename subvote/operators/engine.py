@@ -227,7 +227,7 @@ def search(index: AnnIndex, queries: DataFrame, k: int, params: SearchParams = S
                     dims = started = 0
                     if optimized:
                         if params.use_hamming:
-                            ham = np.bitwise_count(words[passed] ^ qw[i]).sum(axis=1)
+                            ham = np.bitwise_count((words[passed] ^ qw[i]).view(np.uint64)).sum(axis=1)
                             passed = passed[np.lexsort((names_[passed], -score[passed], ham))]
                         else:
                             passed = passed[np.lexsort((names_[passed], -score[passed]))]
