@@ -5,11 +5,13 @@ ordered from rare to frequent by a fixed-size count sketch of the whole corpus,
 sets can only link if the first few tokens of both (their prefixes) meet.  Sets whose
 prefix meets no other drop out; the rest go through the matrix:
 
-1. partition: a set joins the group of the prefix token it shares with most sets;
+1. partition: a set joins the group of the prefix token it shares with most sets, cut by size;
+   the matrix holds the prefix tokens of each group, and sets that agree with no group in
+   as many tokens as a link requires drop out;
 2. within a group, every set is compared with a few leaders, which links most copies;
-3. the matrix (token, group) holds the prefix tokens of each group, and each group's union
-   of whole sets is stored; a set that meets another group in the matrix is bounded by its
-   overlap with that union and the group is opened only if the bound reaches the threshold;
+3. a set that agrees with another group often enough in the matrix is bounded by its overlap
+   with the stored union of that group's whole sets, and the group is opened only if the
+   bound reaches the threshold;
 4. opened groups are compared in blocks of bounded volume; what a leader has joined already
    is not compared again, and a block returns the links that join components, never all pairs.
 
@@ -24,6 +26,7 @@ empty table gives no rows; other columns are ignored.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -87,7 +90,7 @@ def frequency_levels(docs: DataFrame, k: int, text_col: str) -> np.ndarray:
             packed = [np.minimum(total[i * width : (i + 1) * width], 65535).astype("<u2").tobytes() for i in range(blocks)]
             yield pa.RecordBatch.from_pydict({"block": pa.array(range(blocks), pa.int32()), "salt": pa.array([salt] * blocks, pa.int32()), "counts": pa.array(packed, pa.binary())})
 
-    def add(kind: str, out_kind: str):
+    def add(kind: str, pack):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             sums: dict[int, np.ndarray] = {}
             for batch in batches:
@@ -95,24 +98,19 @@ def frequency_levels(docs: DataFrame, k: int, text_col: str) -> np.ndarray:
                     one = np.frombuffer(raw.as_buffer(), kind)
                     sums[block] = sums[block] + one if block in sums else one.astype(np.int64)
             for block, one in sums.items():
-                yield pa.RecordBatch.from_pydict({"block": pa.array([block], pa.int32()), "salt": pa.array([0], pa.int32()), "counts": pa.array([one.astype(out_kind).tobytes()], pa.binary())})
+                yield pa.RecordBatch.from_pydict({"block": pa.array([block], pa.int32()), "salt": pa.array([0], pa.int32()), "counts": pa.array([pack(one)], pa.binary())})
 
         return run
 
+    def small(total: np.ndarray) -> bytes:
+        return (2 * np.log2(np.maximum(total, 1))).astype(np.uint8).tobytes()
+
     schema = "block int, salt int, counts binary"
-    partial = docs.select(text_col).mapInArrow(count, schema).repartition(blocks, "block", "salt").mapInArrow(add("<u2", "<i8"), schema)
-    total = partial.repartition(blocks, "block").mapInArrow(add("<i8", "<i8"), schema)
+    partial = docs.select(text_col).mapInArrow(count, schema).repartition(blocks, "block", "salt").mapInArrow(add("<u2", lambda x: x.tobytes()), schema)
+    total = partial.repartition(blocks, "block").mapInArrow(add("<i8", small), schema)
     level = np.zeros(1 << SKETCH_BITS, np.uint8)
-
-    def shrink(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for block, raw in zip(batch.column("block").to_pylist(), batch.column("counts"), strict=True):
-                one = np.frombuffer(raw.as_buffer(), "<i8")
-                small = (2 * np.log2(np.maximum(one, 1))).astype(np.uint8)
-                yield pa.RecordBatch.from_pydict({"block": pa.array([block], pa.int32()), "level": pa.array([small.tobytes()], pa.binary())})
-
-    for row in total.mapInArrow(shrink, "block int, level binary").collect():
-        level[row["block"] * width : (row["block"] + 1) * width] = np.frombuffer(row["level"], np.uint8)
+    for row in total.collect():
+        level[row["block"] * width : (row["block"] + 1) * width] = np.frombuffer(row["counts"], np.uint8)
     return level
 
 
@@ -167,21 +165,51 @@ class Join:
         return self.docs.mapInArrow(run, "doc_id long, n long, sid binary, prefix array<long>")
 
     def _meeting(self, sets: DataFrame) -> DataFrame:
-        """(token, sid, n, pos, group) of prefix tokens that two or more sets hold."""
-        postings = sets.select("sid", "n", F.posexplode("prefix").alias("pos", "token"))
+        """(token, sid, n, group) of prefix tokens that two or more sets hold.
+
+        The group of a set is the token it shares with most others, cut by size: sizes of
+        one group lie within a few hundredths of each other.
+        """
+        postings = sets.select("sid", "n", F.explode("prefix").alias("token"))
         shared = postings.groupBy("token").agg(F.count("*").alias("held")).filter("held > 1")
         met = materialize(postings.join(shared, "token"), "join-met")
-        best = met.groupBy("sid").agg(F.max(F.struct("held", "token")).alias("best")).select("sid", F.col("best.token").alias("group"))
-        return materialize(met.join(best, "sid").select("token", "sid", "n", "pos", "group"), "join-meeting")
+        best = met.groupBy("sid").agg(F.max(F.struct("held", "token")).alias("best"), F.first("n").alias("size"))
+        width = math.log(100 / self.percent) / 2
+        best = best.select("sid", F.xxhash64("best.token", F.floor(F.log("size") / width)).alias("group"))
+        return materialize(met.join(best, "sid").select("token", "sid", "n", "group"), "join-meeting")
+
+    def _required(self, a: Column, b: Column) -> Column:
+        """Prefix tokens that sets of sizes a and b must share at least if they link."""
+        p = self.percent
+        overlap_ = F.ceil((a + b) * p / (100 + p) - 1e-9)
+        return overlap_ - F.ceil(F.greatest(a, b) * p / 100 - 1e-9) + 1
+
+    def _surviving(self, meeting: DataFrame) -> DataFrame:
+        """(sid, n, mine, group): sets and groups whose rows in the matrix agree often enough.
+
+        The matrix has a row per (token, group); a set agrees with a group in the prefix
+        tokens that some other set of the group holds.  The least number required over the
+        sizes of the group is taken at the ends of their range.
+        """
+        p = self.percent
+        ranges = meeting.groupBy("group").agg(F.min("n").alias("n_min"), F.max("n").alias("n_max"))
+        matrix = meeting.groupBy("token", "group").agg(F.count("*").alias("times"))
+        low, high = F.greatest(F.col("n_min"), F.ceil(F.col("n") * p / 100 - 1e-9)), F.least(F.col("n_max"), F.floor(F.col("n") * 100 / p + 1e-9))
+        queries = meeting.select("token", "sid", "n", F.col("group").alias("mine"))
+        agree = queries.join(matrix, "token").filter((F.col("group") != F.col("mine")) | (F.col("times") > 1))
+        agree = agree.groupBy("sid", "n", "mine", "group").agg(F.count("*").alias("common")).join(ranges, "group")
+        required = F.least(self._required(F.col("n"), low), self._required(F.col("n"), high))
+        return agree.filter((low <= high) & (F.col("common") >= required)).select("sid", "n", "mine", "group")
 
     def _links(self, sets: DataFrame, meeting: DataFrame) -> DataFrame:
         percent = self.percent
-        members = materialize(meeting.select("sid", "n", "group").distinct(), "join-members")
+        surviving = materialize(self._surviving(meeting), "join-surviving")
+        members = materialize(surviving.select("sid", "n", F.col("mine").alias("group")).distinct(), "join-members")
         full = self._full_sets(sets, members)
-        # Leaders of a group: those of least hash, and those that meet the most others.
+        # Leaders of a group: two drawn by hash, and the set that agrees with most tokens of others.
         lead = members.withColumn("draw", F.struct(F.xxhash64("sid"), "sid", "n"))
         lead = lead.groupBy("group").agg(F.min("draw").alias("a"), F.max("draw").alias("b"))
-        central = meeting.groupBy("group", "sid", "n").agg(F.count("*").alias("tokens"))
+        central = meeting.join(members.select("sid"), "sid", "left_semi").groupBy("group", "sid", "n").agg(F.count("*").alias("tokens"))
         central = central.groupBy("group").agg(F.max(F.struct("tokens", "sid", "n")).alias("c"))
         lead = lead.join(central, "group")
         picks = F.explode(F.array(*[F.struct(F.col(f"{x}.sid").alias("sid"), F.col(f"{x}.n").alias("n")) for x in ("a", "b", "c")][: self.leaders]))
@@ -193,7 +221,7 @@ class Join:
         roots = components(star, "join-roots")
         members = members.join(roots.withColumnRenamed("node", "sid"), "sid", "left").withColumn("root", F.coalesce("root", "sid"))
         members = materialize(members, "join-rooted")
-        opened = materialize(self._candidates(meeting, members, full), "join-opened")
+        opened = materialize(self._candidates(surviving, members, full), "join-opened")
         if opened.isEmpty():
             return star
         return star.union(materialize(self._open(opened, members, full), "join-opened-links"))
@@ -231,31 +259,16 @@ class Join:
 
         return both.mapInArrow(run, "a binary, b binary")
 
-    def _candidates(self, meeting: DataFrame, members: DataFrame, full: DataFrame) -> DataFrame:
-        """(sid, group) to open: own groups not yet of one component, others by the bound."""
-        percent = self.percent
+    def _candidates(self, surviving: DataFrame, members: DataFrame, full: DataFrame) -> DataFrame:
+        """(sid, group) to open: own groups not yet of one component, others by their union."""
         # Own group: sets outside the component that holds most of it.
         held = members.groupBy("group", "root").agg(F.count("*").alias("n_root"))
         main = held.groupBy("group").agg(F.max(F.struct("n_root", "root")).alias("main"), F.count("*").alias("n_roots")).filter("n_roots > 1")
         own = members.join(main, "group").filter(F.col("root") != F.col("main.root")).select("sid", "group")
-        # Other groups: prefix tokens that two groups hold, as rows of the matrix.
-        rooted = meeting.join(members.select("sid", "root"), "sid")
-        reach = F.max(F.col("n") - F.col("pos"))
-        matrix = rooted.groupBy("token", "group").agg(
-            F.min("n").alias("n_min"), F.max("n").alias("n_max"), reach.alias("reach"), F.min("root").alias("root_min"), F.max("root").alias("root_max")
-        )
-        several = matrix.groupBy("token").agg(F.count("*").alias("n_groups")).filter("n_groups > 1").select("token")
-        matrix = materialize(matrix.join(several, "token"), "join-matrix")
-        queries = rooted.join(several, "token").select("token", "sid", "n", "pos", "root", F.col("group").alias("mine"))
-        smallest = F.greatest(F.col("n_min"), F.ceil(F.col("n") * percent / 100))
-        least = F.ceil((F.col("n") + smallest) * percent / (100 + percent) - 1e-9)
-        met = queries.join(matrix, "token").filter(
-            (F.col("group") > F.col("mine"))
-            & (F.col("n_max") * 100 >= F.col("n") * percent)
-            & (F.col("n") * 100 >= F.col("n_min") * percent)
-            & (F.least(F.col("n") - F.col("pos"), F.col("reach")) >= least)
-            & ~((F.col("root_min") == F.col("root")) & (F.col("root_max") == F.col("root")))
-        )
+        # Other groups, from one side of each pair of groups, unless all of it is joined already.
+        ends = members.groupBy("group").agg(F.min("root").alias("root_min"), F.max("root").alias("root_max"))
+        met = surviving.filter(F.col("group") > F.col("mine")).join(members.select("sid", "root"), "sid").join(ends, "group")
+        met = met.filter(~((F.col("root_min") == F.col("root")) & (F.col("root_max") == F.col("root"))))
         met = materialize(met.select("sid", "group").distinct(), "join-met-groups")
         if met.isEmpty():
             return own
