@@ -111,7 +111,7 @@ def span_hashes(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray, lower: bo
     return mix64((sums[ends] - sums[starts]) * down[starts] + (ends - starts).astype(U64))
 
 
-def text_slices(column: pa.Array, limit: int = 2 << 20):
+def text_slices(column: pa.Array, limit: int = 1 << 20):
     """Cut a string column into runs of whole documents of about `limit` bytes.
 
     Yields (first row, row after the last, bytes, offsets from 0); null counts as empty.

@@ -138,7 +138,7 @@ class Encoder:
         self.at = np.concatenate([self.at, self.at[-1] + np.cumsum(sizes)])
         self.flat = np.concatenate([self.flat, *found]) if found else self.flat
 
-    def slices(self, column: pa.Array, limit: int = 4 << 20):
+    def slices(self, column: pa.Array, limit: int = 2 << 20):
         """Yields (first row, row after the last, ids per document, all ids)."""
         for lo, hi, buf, offs in text_slices(column, limit):
             yield lo, hi, *self.encode(buf, offs)

@@ -37,6 +37,7 @@ from pyspark.sql import functions as F
 from subvote.llm._store import materialize
 from subvote.llm._text import U64, Words, as_long, list_array, mix64, text_slices
 from subvote.llm.components import components
+from subvote.llm._worker import tidied
 
 SKETCH_BITS, BLOCK_BITS = 21, 15
 #: Tokens of the sets of one block of an opened group.
@@ -79,6 +80,7 @@ def frequency_levels(docs: DataFrame, k: int, text_col: str) -> np.ndarray:
     """
     blocks, width = 1 << (SKETCH_BITS - BLOCK_BITS), 1 << BLOCK_BITS
 
+    @tidied
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(1 << SKETCH_BITS, np.int64)
         for batch in batches:
@@ -91,6 +93,7 @@ def frequency_levels(docs: DataFrame, k: int, text_col: str) -> np.ndarray:
             yield pa.RecordBatch.from_pydict({"block": pa.array(range(blocks), pa.int32()), "salt": pa.array([salt] * blocks, pa.int32()), "counts": pa.array(packed, pa.binary())})
 
     def add(kind: str, pack):
+        @tidied
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             sums: dict[int, np.ndarray] = {}
             for batch in batches:
@@ -150,6 +153,7 @@ class Join:
     def _prefixes(self) -> DataFrame:
         k, percent, levels = self.k, self.percent, self.levels
 
+        @tidied
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 for lo, hi, buf, offs in text_slices(batch.column(1)):
@@ -232,6 +236,7 @@ class Join:
         wanted = sets.select("sid", "least").join(members.select("sid").distinct(), "sid", "left_semi")
         chosen = wanted.select(F.col("least").alias("_least")).distinct()
 
+        @tidied
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 for _, _, buf, offs in text_slices(batch.column(0)):
@@ -248,6 +253,7 @@ class Join:
         both = pairs.join(full.select(F.col("sid").alias("a"), F.col("tokens").alias("left")), "a")
         both = both.join(full.select(F.col("sid").alias("b"), F.col("tokens").alias("right")), "b").select("a", "b", "left", "right")
 
+        @tidied
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 keep = []
@@ -278,6 +284,7 @@ class Join:
     def _unions(self, members: DataFrame, full: DataFrame) -> DataFrame:
         """(group, tokens): the union of whole sets, merged within tasks and then per group."""
 
+        @tidied
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 parts: dict[int, list[np.ndarray]] = {}
@@ -300,6 +307,7 @@ class Join:
         percent = self.percent
         both = met.join(full, "sid").join(unions.select("group", F.col("tokens").alias("union")), "group").select("sid", "group", "tokens", "union")
 
+        @tidied
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 keep = []

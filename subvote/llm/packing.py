@@ -25,6 +25,7 @@ from pyspark.sql import functions as F
 from subvote.llm._store import materialize
 from subvote.llm._text import ragged
 from subvote.llm._tokens import id_encoder
+from subvote.llm._worker import tidied
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long"
 
@@ -32,6 +33,7 @@ PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long"
 def cut(docs: DataFrame, vocab_path: str, end_id: int, capacity: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per piece: doc_id, start, length, ids_crc32, doc_tokens."""
 
+    @tidied
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = id_encoder(vocab_path, False)
         for batch in batches:
@@ -110,6 +112,7 @@ def assign(pieces: DataFrame, capacity: int) -> DataFrame:
     spark = pieces.sparkSession
     order = [F.col(c).asc_nulls_first() for c in ("length", "doc_id", "start", "ids_crc32")]
 
+    @tidied
     def rank(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: dict[int, int] = {}
         for batch in batches:
@@ -137,6 +140,7 @@ def assign(pieces: DataFrame, capacity: int) -> DataFrame:
     table = slots(plan_patterns(histogram, capacity))
     shared = spark.sparkContext.broadcast((table, bases))
 
+    @tidied
     def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table, bases = shared.value
         keys = (table[:, 0] << 48) | table[:, 1]

@@ -25,6 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from subvote.llm._text import U64, Words, mix64, span_hashes, text_slices
+from subvote.llm._worker import tidied
 
 FEATURES = ("bias", "symbols", "pipes", "exclaims", "capitals", "digits", "repeats", "seen", "short", "stop", "long_words")
 _SYMBOL = np.zeros(256, dtype=bool)
@@ -206,6 +207,7 @@ def fit(docs: DataFrame, labels: DataFrame, train_rows: int = 2000, id_col: str
         return PRIOR
     chosen = spark.createDataFrame(sample, "_l_id long, _quality int").dropDuplicates(["_l_id"])
 
+    @tidied
     def lines_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for lo, hi, buf, offs in text_slices(batch.column(1)):
@@ -243,6 +245,7 @@ def judge(docs: DataFrame, field: Field, min_share: float = 0.5, id_col: str = "
     """id and COLUMNS of every row."""
     names = ["doc_id", *[c.split()[0] for c in COLUMNS.split(", ")]]
 
+    @tidied
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for lo, hi, columns in verdicts(field, batch.column(1), min_share):
@@ -256,6 +259,7 @@ def kept_rows(docs: DataFrame, field: Field, min_share: float = 0.5, text_col: s
     """The rows of `docs` that stay, with all their columns; no shuffle."""
     at = docs.columns.index(text_col)
 
+    @tidied
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             keep = [columns[-2] for _, _, columns in verdicts(field, batch.column(at), min_share)]

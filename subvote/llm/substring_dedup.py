@@ -31,6 +31,7 @@ from pyspark.sql import functions as F
 
 from subvote.llm._store import discard, materialize
 from subvote.llm._text import U64, Words, as_long, ragged, roll, text_slices
+from subvote.llm._worker import tidied
 
 RUN = "mark long, doc_id long, first int, n int"
 
@@ -74,6 +75,7 @@ class FingerprintIndex:
     def occurrences(self, docs: DataFrame) -> DataFrame:
         size, gram = self.size, self.gram
 
+        @tidied
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 for lo, hi, buf, offs in text_slices(batch.column(1)):
@@ -157,6 +159,7 @@ def earliest(docs: DataFrame, hits: DataFrame, size: int) -> DataFrame:
     per_doc = hits.groupBy("doc_id").agg(F.collect_list(F.struct("first", "n")).alias("hits")).withColumnRenamed("doc_id", "_h_id")
     texts = docs.join(per_doc, F.col("doc_id").eqNullSafe(F.col("_h_id"))).select("doc_id", "text", "hits")
 
+    @tidied
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for lo, hi, buf, offs in text_slices(batch.column(1)):
@@ -211,6 +214,7 @@ def drop_windows(docs: DataFrame, hits: DataFrame, first_places: DataFrame, size
     plan = per_doc.join(firsts, F.col("doc_id").eqNullSafe(F.col("_f_id")), "left").select(F.col("doc_id").alias("_h_id"), "hits", "firsts")
     rows = docs.join(plan, F.col("doc_id").eqNullSafe(F.col("_h_id")), "left").select("doc_id", "text", "hits", "firsts")
 
+    @tidied
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids, texts, hit_col, first_col = batch.columns

@@ -24,6 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from subvote.llm._tokens import Encoder, tokenizer
+from subvote.llm._worker import tidied
 
 NONE = np.int64(1) << 40
 
@@ -146,6 +147,7 @@ def _counter(path: str) -> Encoder:
 def count_tokens(docs: DataFrame, vocab_path: str, limit: int = 2048, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """id, n_bytes, n_tokens, over_limit of every row."""
 
+    @tidied
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counter = _counter(vocab_path)
         for batch in batches:

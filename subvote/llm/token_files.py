@@ -37,6 +37,7 @@ from pyspark.sql import functions as F
 
 from subvote.llm._store import materialize, new_path
 from subvote.llm._tokens import id_encoder
+from subvote.llm._worker import tidied
 
 # Fixed values of the zstd seekable format.
 SKIPPABLE_MAGIC = 0x184D2A5E
@@ -114,6 +115,7 @@ def write_token_files(
     """
     folder = folder or new_path(docs.sparkSession, "token-files")
 
+    @tidied
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = id_encoder(vocab_path, True)
         shard, fs, writer = TaskContext.get().partitionId(), None, None
@@ -156,6 +158,7 @@ def read_token_files(manifest: DataFrame, folder: str) -> DataFrame:
     shards = manifest.withColumn("_start", F.coalesce(F.sum("n_tokens").over(before), F.lit(0)).cast("long"))
     shards = shards.select("shard", "path", "_start", "bytes").repartition(max(1, manifest.count()), "shard")
 
+    @tidied
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         fs, _ = _filesystem(folder)
         for batch in batches:
