@@ -310,7 +310,7 @@ def filtered_knn(base: DataFrame, queries: DataFrame, k: int, where: Column, str
     """k-NN among the rows of `base` for which `where` holds (columns of `base`).
 
     pre: filter, then exact.  post: over-fetch without the filter, then filter; may return
-    fewer than k rows.
+    fewer than k rows.  For votes that only fitting rows receive, see `search_filtered`.
     """
     from subvote.operators import exact
 
@@ -322,6 +322,13 @@ def filtered_knn(base: DataFrame, queries: DataFrame, k: int, where: Column, str
     return fit.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k).select("query_id", "rank", "id", "dist2")
 
 
+def search_filtered(base: DataFrame, queries: DataFrame, layout: Layout, books: DataFrame, k_cells: int, k: int, params: SearchParams, where: Column) -> DataFrame:
+    """The relational search in which only rows that fit `where` are counted, vote and are measured;
+    codebooks stay those of the whole table, so one index serves every filter."""
+    fit = base.filter(where).select("id", "vec")
+    return search_relational(fit, queries, layout, books, k_cells, fit.count(), k, params)
+
+
 def knn_join(index: AnnIndex, left: DataFrame, k: int, batches: int, params: SearchParams = SearchParams()) -> DataFrame:
     """k neighbours for every row of `left`, batch by batch, so that each batch fits a broadcast."""
     out = None

@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from subvote.functions import bounds
 from subvote.functions import vectors as V
 from subvote.operators import activation, candidates, cells, codebooks, exact, graph, learned_pq, lsh, metrics, onebit_ivf, refine, rotation, scoring, spectral, uniform_collision
-from subvote.operators.engine import IndexParams, SearchParams, append, build_index, counters, filtered_knn, footprint, knn_join, load_index, save_index, search, search_relational
+from subvote.operators.engine import IndexParams, SearchParams, append, build_index, counters, filtered_knn, footprint, knn_join, load_index, save_index, search, search_filtered, search_relational
 from subvote.operators.subspaces import uniform_layout, variance_layout
 from subvote.sources import vectors as sources
 from subvote.sources.tables import load
@@ -525,6 +525,12 @@ def q_filtered_knn_post(spark, sf_dir):
     return filtered_knn(base, queries, 5, F.col("label") == 3, "post", 20)
 
 
+def q_filtered_search(spark, sf_dir):
+    """Votes among rows of one parity only, with the codebooks of the whole base."""
+    s = Small(spark, sf_dir)
+    return search_filtered(s.base, s.queries, s.layout, s.books, K, TOP, GUARANTEED, F.col("id") % 2 == 1)
+
+
 def q_doc_hash_knn(spark, sf_dir):
     """Hashed document vectors, D = 64 here so that the SQL check stays quick."""
     df = sources.documents(spark, sf_dir, 64)

@@ -230,6 +230,7 @@ FROM (VALUES (60000, 784), (90120, 4096), (1000000, 960)) t(n, d)""",
         "q_label_purity": _with(p, _truth(), select="SELECT t.query_id, round(avg((a.label = b.label)::INT), 6) AS purity FROM truth t JOIN embeddings a ON a.vec_id = t.id JOIN embeddings b ON b.vec_id = t.query_id GROUP BY t.query_id"),
         "q_filtered_knn": _with(p, _truth(), select="SELECT query_id, rank, id, dist2 FROM (SELECT td.*, row_number() OVER (PARTITION BY query_id ORDER BY dist2, id) AS rank FROM td JOIN embeddings e ON e.vec_id = td.id WHERE label = 3) WHERE rank <= 5"),
         "q_filtered_knn_post": _with(p, _truth(100), select="SELECT query_id, rank, id, dist2 FROM (SELECT t.query_id, t.id, t.dist2, row_number() OVER (PARTITION BY query_id ORDER BY dist2, id) AS rank FROM truth t JOIN embeddings e ON e.vec_id = t.id WHERE label = 3) WHERE rank <= 5"),
+        "q_filtered_search": _with(p, _BOOKS, _CODES.replace("FROM bd b JOIN cb c ON b.j = c.j GROUP BY ALL", "FROM bd b JOIN cb c ON b.j = c.j WHERE b.id % 2 = 1 GROUP BY ALL"), _active().replace("FROM walk, size", "FROM walk, (SELECT count(*) AS n FROM base WHERE id % 2 = 1) size"), _scores(), _chosen(0.25), _DIST, _RESULT, select=res),
         "q_pair_distances": _with(p, select="SELECT * FROM (SELECT a.id AS a_id, b.id AS b_id, round(sum((a.x - b.x) * (a.x - b.x)), 6) AS dist2 FROM pd a JOIN pd b ON a.j = b.j AND a.id < b.id JOIN embeddings x ON x.vec_id = a.id JOIN embeddings y ON y.vec_id = b.id WHERE x.label = y.label GROUP BY a.id, b.id) WHERE dist2 <= 1.6"),
         "q_class_means": _with(p, select="SELECT label, j, round(avg(x), 6) AS mean FROM pd JOIN embeddings e ON e.vec_id = pd.id GROUP BY label, j"),
         "q_vector_scalars": _with(p, select="""SELECT a.id, round(sqrt(sum((a.x - b.x) * (a.x - b.x))), 6) AS l2, round(sum(a.x * b.x), 6) AS dot, round(sum(a.x * b.x) / (sqrt(sum(a.x * a.x)) * sqrt(sum(b.x * b.x))), 6) AS cosine,

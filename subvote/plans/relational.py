@@ -191,6 +191,14 @@ def q_percentiles(spark, sf_dir):
     return load(spark, sf_dir, "events").groupBy("event_type").agg(*[F.round(F.percentile("value", p), 6).alias(n) for p, n in ((0.5, "p50"), (0.99, "p99"))], F.round(F.median("value"), 6).alias("med"))
 
 
+@query()
+def q_quantile_sketches(spark, sf_dir):
+    """Exact quantiles beside an approximate one and a mergeable sketch."""
+    exact_ = F.percentile("value", 0.9).alias("exact")
+    sketch = F.expr("kll_sketch_get_quantile_double(kll_sketch_agg_double(value), 0.9D)").alias("sketch")
+    return load(spark, sf_dir, "events").groupBy("event_type").agg(exact_, F.percentile_approx("value", 0.9, 1000).alias("approx"), sketch)
+
+
 @query("SELECT event_type, floor(value / 50) AS bucket, count(*) AS n FROM events GROUP BY ALL")
 def q_histogram(spark, sf_dir):
     return load(spark, sf_dir, "events").groupBy("event_type", F.floor(F.col("value") / 50).cast("double").alias("bucket")).agg(F.count("*").alias("n"))
