@@ -25,7 +25,10 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from subvote.llm._text import text_slices
+from subvote.llm._worker import tidied
 
+#: Labels beyond this are taken for an error; their counts and profiles are broadcast.
+MOST_LANGUAGES = 5000
 _table: dict[str, np.ndarray] = {}
 
 
@@ -102,10 +105,14 @@ def fit(
 ) -> Profiles:
     """Learn profiles from the rows for which the SQL predicate `labelled` holds."""
     rows = docs.filter(labelled).filter(F.col(lang_col).isNotNull() & F.col(id_col).isNotNull())
-    known = rows.groupBy(F.col(lang_col).alias("_lang")).agg(F.count("*").alias("_n"))
+    counts = rows.groupBy(F.col(lang_col).alias("_lang")).agg(F.count("*").alias("_n")).limit(MOST_LANGUAGES + 1).collect()
+    if len(counts) > MOST_LANGUAGES:
+        raise ValueError(f"more than {MOST_LANGUAGES} languages")
+    known = F.broadcast(docs.sparkSession.createDataFrame(counts, "_lang string, _n long"))
     drawn = F.pmod(F.xxhash64(id_col), F.lit(1 << 40)) * F.col("_n") < F.lit(sample_rows) * F.lit(float(1 << 40))
     sample = rows.join(known, F.col(lang_col) == F.col("_lang")).filter(drawn).select("_lang", text_col)
 
+    @tidied
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             langs, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
@@ -132,6 +139,7 @@ def predict(docs: DataFrame, profiles: Profiles, id_col: str = "doc_id", text_co
     """id, lang_pred, score of every row."""
     shared = docs.sparkSession.sparkContext.broadcast(profiles)  # languages times `top` entries
 
+    @tidied
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model = shared.value
         for batch in batches:
