@@ -35,7 +35,7 @@ def _winner(rows: DataFrame, key: list[str]) -> DataFrame:
 
 
 def groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", hash_of=F.md5) -> DataFrame:
-    """One row per input row: id, keep_id, group_size, kept, text_sha256, n_tied.
+    """One row per input row: id, keep_id, group_size, kept, text_sha256, n_code_points, n_tied.
 
     `hash_of` maps the normalised text to the 128-bit hash; tests pass a colliding one.
     """
@@ -74,25 +74,22 @@ def _decide(rows: DataFrame, id_col: str) -> DataFrame:
     kept = F.col("_id").eqNullSafe(F.col("_best.id")) & (F.col("_chars") == -F.col("_best.c"))
     return rows.select(
         F.col("_id").alias(id_col), F.col("_best.id").alias("keep_id"), F.col("_size").alias("group_size"),
-        kept.alias("kept"), F.col("_sha").alias("text_sha256"), F.col("_best.n").alias("n_tied"),
+        kept.alias("kept"), F.col("_sha").alias("text_sha256"), F.col("_chars").alias("n_code_points"), F.col("_best.n").alias("n_tied"),
     )
 
 
 def kept_rows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of `docs` that stay, with all their columns.
 
-    Rows are matched by id and text digest, so ids that repeat with different texts are
-    judged apart; of rows that repeat in both, one stays.
+    Rows are matched by id, text digest and length, so ids that repeat with different texts
+    are judged apart; of rows that repeat in all three, one stays.
     """
     keep = groups(docs, id_col, text_col).filter("kept").select(
-        F.col(id_col).alias("_k_id"), F.col("text_sha256").alias("_k_sha"), F.col("n_tied").alias("_k_tied")
-    )
-    keep = keep.dropDuplicates(["_k_id", "_k_sha"])
+        F.col(id_col).alias("_k_id"), F.col("text_sha256").alias("_k_sha"), F.col("n_code_points").alias("_k_chars"), F.col("n_tied").alias("_k_tied")
+    ).dropDuplicates(["_k_id", "_k_sha"])
     sha = F.sha2(F.encode(normalized(F.col(text_col)), "utf-8"), 256)
-    rows = docs.join(keep, docs[id_col].eqNullSafe(F.col("_k_id")) & (sha == F.col("_k_sha")))
-    length = F.length(F.coalesce(F.col(text_col), F.lit("")))
+    chars = F.length(F.coalesce(F.col(text_col), F.lit("")))
+    rows = docs.join(keep, docs[id_col].eqNullSafe(F.col("_k_id")) & (sha == F.col("_k_sha")) & (chars == F.col("_k_chars")))
     once = rows.filter("_k_tied = 1")
-    # A repeated id may hold equal texts of different lengths; the longest of them stays.
-    repeated = rows.filter("_k_tied > 1").withColumn("_len", length)
-    repeated = repeated.dropDuplicates(["_k_id", "_k_sha"]).drop("_len")
+    repeated = rows.filter("_k_tied > 1").dropDuplicates(["_k_id", "_k_sha"])
     return once.unionByName(repeated).select(*[F.col(f"`{c}`") for c in docs.columns])

@@ -19,7 +19,7 @@ def op1_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return exact_dedup.groups(documents(spark, sf_dir)).drop("n_tied")
+    return exact_dedup.groups(documents(spark, sf_dir)).drop("n_code_points", "n_tied")
 
 
 def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:

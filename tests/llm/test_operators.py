@@ -147,8 +147,8 @@ def test_exact_dedup_survives_collisions(spark, odd):
 
 
 def test_repeated_rows_keep_one(spark):
-    df = spark.createDataFrame([(1, "a b")] * 5 + [(2, "ab"), (3, "c")], "doc_id long, text string")
-    assert sorted(exact_dedup.kept_rows(df).collect()) == [(1, "a b"), (3, "c")]
+    df = spark.createDataFrame([(1, "a b")] * 5 + [(2, "ab"), (3, "c"), (1, "ab"), (3, "d")], "doc_id long, text string")
+    assert sorted(exact_dedup.kept_rows(df).collect()) == [(1, "a b"), (3, "c"), (3, "d")]
 
 
 def test_quality_base_columns(spark, sf, docs):
