@@ -40,8 +40,8 @@ from subvote.llm.components import components
 from subvote.llm._worker import tidied
 
 SKETCH_BITS, BLOCK_BITS = 21, 15
-#: Tokens of the sets of one block of an opened group.
-BLOCK_TOKENS = 200_000
+#: Tokens and sets of one block of an opened group, about.
+BLOCK_TOKENS, BLOCK_SETS = 100_000, 256
 
 
 def shingles(buf: np.ndarray, offs: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -322,7 +322,7 @@ class Join:
         """Compare the sets that open a group with its members, block by block."""
         percent = self.percent
         sized = members.join(opened.select("group").distinct(), "group", "left_semi")
-        blocks = lambda df, name: df.groupBy("group").agg(F.greatest(F.lit(1), F.ceil(F.sum("n") / BLOCK_TOKENS)).cast("int").alias(name))
+        blocks = lambda df, name: df.groupBy("group").agg(F.ceil(F.greatest(F.sum("n") / BLOCK_TOKENS, F.count("*") / BLOCK_SETS)).cast("int").alias(name))
         asking = opened.join(members.select("sid", "n", "root"), "sid")
         counts = blocks(asking, "n_q").join(blocks(sized, "n_m"), "group")
         cell = lambda name: F.pmod(F.xxhash64("sid", F.lit(7)), F.col(name)).cast("int")
