@@ -41,7 +41,7 @@ def main(n: int = 60_000, dim: int = 784, n_queries: int = 1000, k: int = 100) -
         seen = {"rotated": index.matrix is not None, "cev": round(index.report.cev, 3), "build_s": round(build, 1), "stages": {s: round(v, 1) for s, v in index.seconds.items()}, "stored_of_raw": round(stored, 2)}
         print(json.dumps({"policy": policy, **seen}), flush=True)
         guaranteed = SearchParams("guaranteed", 0.02, 0.3)
-        for params in (guaranteed, replace(guaranteed, ratio=0.05), SearchParams("optimized", 0.02, 0.4, patience_factor=10), SearchParams("optimized", 0.05, 0.4, patience_factor=10)):
+        for params in (guaranteed, replace(guaranteed, ratio=0.05), SearchParams("optimized", 0.02, 0.4, patience_factor=4, step=98, block=256), SearchParams("optimized", 0.05, 0.4, patience_factor=4, step=98, block=256)):
             search(index, queries.limit(10), k, params).count()
             begin = time.perf_counter()
             found = search(index, queries, k, params).persist()

@@ -78,10 +78,57 @@ def half_matrix(x: np.ndarray, layout: Layout, books: Codebooks) -> list[np.ndar
     return [np.round(((x[:, s : s + w][:, None] - b[None]) ** 2).sum(axis=2), 9) for s, w, b in zip(layout.starts, layout.lengths, books, strict=True)]
 
 
-def activate_all(x: np.ndarray, layout: Layout, books: Codebooks, counts: np.ndarray, limit: int) -> list[list[np.ndarray]]:
+def ranked_cells(left: np.ndarray, right: np.ndarray, most: int) -> tuple[np.ndarray, np.ndarray]:
+    """(cells in visiting order, how many of them are certain) for a batch of queries.
+
+    The grid is laid out by half ranks, so a stable sort by cost breaks ties as the walk
+    does.  Only about `most` cheapest cells are sorted; those as dear as the dearest of
+    them may lack a tie and do not count as certain.
+    """
+    lo, ro = np.argsort(left, axis=1, kind="stable"), np.argsort(right, axis=1, kind="stable")
+    n, k = right.shape
+    cost = np.round(np.take_along_axis(left, lo, 1)[:, :, None] + np.take_along_axis(right, ro, 1)[:, None, :], 9).reshape(n, -1)
+    size = cost.shape[1]
+    if most < size:
+        some = np.sort(np.argpartition(cost, most - 1, axis=1)[:, :most], axis=1)
+        picked = np.take_along_axis(cost, some, 1)
+        order = np.argsort(picked, axis=1, kind="stable")
+        at, picked = np.take_along_axis(some, order, 1), np.take_along_axis(picked, order, 1)
+        certain = (picked < picked[:, -1:]).sum(axis=1)
+    else:
+        at, certain = np.argsort(cost, axis=1, kind="stable"), np.full(n, size)
+    return np.take_along_axis(lo, at // k, 1) * k + np.take_along_axis(ro, at % k, 1), certain
+
+
+def activate_all(x: np.ndarray, layout: Layout, books: Codebooks, counts: np.ndarray, limit: int, chunk: int = 1024) -> list[list[np.ndarray]]:
     """Activated cells per query and subspace, in rank order; counts is M x K*K over all shards."""
+    return [row for lo in range(0, len(x), chunk) for row in _activate_chunk(x[lo : lo + chunk], layout, books, counts, limit)]
+
+
+def _activate_chunk(x: np.ndarray, layout: Layout, books: Codebooks, counts: np.ndarray, limit: int) -> list[list[np.ndarray]]:
+    """Vectorised over the queries: a first share of the grid is sorted, and only queries that
+    do not reach the budget in it get a full order.
+    """
     half = half_matrix(x, layout, books)
-    return [[activate(half[2 * m][q], half[2 * m + 1][q], counts[m], limit)[0] for m in range(layout.m)] for q in range(len(x))]
+    out: list[list[np.ndarray]] = [[] for _ in range(len(x))]
+    total = max(1, int(counts[0].sum())) if len(counts) else 1
+    for m in range(layout.m):
+        left, right = half[2 * m], half[2 * m + 1]
+        size = left.shape[1] * right.shape[1]
+        most = min(size, 64 + int(4 * size * limit / total))
+        cells, certain = ranked_cells(left, right, most)
+        pulled = np.cumsum(counts[m][cells], axis=1)
+        # A cell is taken while fewer ids than the budget came before it.
+        need = (pulled < limit).sum(axis=1) + 1
+        late = np.flatnonzero((need > certain) & (certain < size))
+        for q in range(len(x)):
+            out[q].append(cells[q, : min(need[q], size)])
+        if len(late):
+            cells, _ = ranked_cells(left[late], right[late], size)
+            need = (np.cumsum(counts[m][cells], axis=1) < limit).sum(axis=1) + 1
+            for i, q in enumerate(late.tolist()):
+                out[q][m] = cells[i, : min(need[i], size)]
+    return out
 
 
 def traverse_heap(queries: DataFrame, layout: Layout, books: Codebooks, counts: np.ndarray, limit: int) -> DataFrame:

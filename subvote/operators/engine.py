@@ -173,7 +173,7 @@ def count_cells(shards: DataFrame, m: int, k2: int) -> np.ndarray:
 def _read(row: dict, dim: int, words: int, m: int, k2: int, storage: str):
     n = row["n"]
     return (
-        np.frombuffer(row["ids"], "<i8"), np.frombuffer(row["vectors"], f"<{storage}").reshape(n, dim).astype(np.float64), np.frombuffer(row["words"], "<i8").reshape(n, words),
+        np.frombuffer(row["ids"], "<i8"), np.frombuffer(row["vectors"], f"<{storage}").reshape(n, dim), np.frombuffer(row["words"], "<i8").reshape(n, words),
         np.frombuffer(row["offsets"], "<i4").reshape(m, k2 + 1), np.frombuffer(row["rows"], "<i4").reshape(m, n),
     )
 
@@ -212,45 +212,58 @@ def search(index: AnnIndex, queries: DataFrame, k: int, params: SearchParams = S
     shared = index.spark.sparkContext.broadcast((ids, q, sign_words(q), active))
     patience = None if params.patience_factor is None else math.ceil(params.patience_factor * k)
 
-    def rows_of(kind: str, query: int, found: list[tuple]) -> list[tuple]:
-        return [(kind, query, i, s, d, 0, 0, 0) for i, s, d in found]
+    def nearest(x: np.ndarray, norms: np.ndarray, ids: np.ndarray, q: np.ndarray, narrow: np.ndarray, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(rows, dist2) of the k nearest: all by norms and products, the nearest again in doubles."""
+        if len(rows) > 4 * k:
+            rough = norms[rows] - 2 * (x[rows] @ narrow)
+            rows = rows[np.argpartition(rough, 2 * k)[: 2 * k + 1]]
+        d2 = np.round(((x[rows] - q) ** 2).sum(axis=1), 6)
+        top = np.lexsort((ids[rows], d2))[:k]
+        return rows[top], d2[top]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids, q, qw, active = shared.value
+        narrow = q.astype(f"<{storage}")
         for batch in batches:
             for row in batch.to_pylist():
-                names_, x, words, offsets, order = _read(row, dim, qw.shape[1], m, k2, storage)
-                out = []
-                for i, query in enumerate(ids.tolist()):
-                    score = shard_votes(offsets, order, active[i], row["n"], rank_cut)
+                names, x, words, offsets, order = _read(row, dim, qw.shape[1], m, k2, storage)
+                norms, n = np.einsum("ij,ij->i", x, x), row["n"]
+                found: dict[str, list] = {"near": [], "best": []}
+                count = np.zeros((len(ids), 3), np.int64)  # candidates, dimensions, started
+                for i in range(len(ids)):
+                    score = shard_votes(offsets, order, active[i], n, rank_cut)
                     passed = np.flatnonzero(score >= least)
-                    dims = started = 0
                     if optimized:
+                        keys = (names[passed], -score[passed])
                         if params.use_hamming:
-                            ham = np.bitwise_count((words[passed] ^ qw[i]).view(np.uint64)).sum(axis=1)
-                            passed = passed[np.lexsort((names_[passed], -score[passed], ham))]
-                        else:
-                            passed = passed[np.lexsort((names_[passed], -score[passed]))]
-                        best, c, _ = refine.fold(x[passed], names_[passed], q[i], k, params.step, params.eps, patience, params.use_sampling, params.block)
-                        by_id = dict(zip(names_[passed].tolist(), score[passed].tolist(), strict=True))
-                        near = [(b[1], by_id[b[1]], b[0]) for b in best]
-                        dims, started = c.dims, c.started
+                            keys = (*keys, np.bitwise_count((words[passed] ^ qw[i]).view(np.uint64)).sum(axis=1))
+                        ordered = passed[np.lexsort(keys)]
+                        best, c, _ = refine.fold(x[ordered], names[ordered], q[i], k, params.step, params.eps, patience, params.use_sampling, params.block)
+                        rows = np.searchsorted(names, np.array([b[1] for b in best], np.int64))
+                        found["near"].append((i, rows, score[rows], np.array([b[0] for b in best])))
+                        count[i] = len(passed), c.dims, c.started
                     else:
-                        d2 = np.round(((x[passed] - q[i]) ** 2).sum(axis=1), 6)
-                        top = np.lexsort((names_[passed], d2))[:k]
-                        near = list(zip(names_[passed][top].tolist(), score[passed][top].tolist(), d2[top].tolist(), strict=True))
-                        dims, started = dim * len(passed), len(passed)
-                    out.append(("count", query, None, None, None, len(passed), dims, started))
-                    out.extend(rows_of("near", query, near))
-                    # Best by score, for queries with fewer than k candidates in all shards.
+                        rows, d2 = nearest(x, norms, names, q[i], narrow[i], passed)
+                        found["near"].append((i, rows, score[rows], d2))
+                        count[i] = len(passed), dim * len(passed), len(passed)
                     if len(passed) < k:
-                        top = np.lexsort((names_, -score))[:k]
-                        d2 = np.round(((x[top] - q[i]) ** 2).sum(axis=1), 6)
-                        out.extend(rows_of("best", query, list(zip(names_[top].tolist(), score[top].tolist(), d2.tolist(), strict=True))))
-                if out:
-                    kinds = ["kind", "query_id", "id", "score", "dist2", "n", "dims", "started"]
-                    types = [pa.string(), pa.int64(), pa.int64(), pa.int32(), pa.float64(), pa.int64(), pa.int64(), pa.int64()]
-                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), types, strict=True)], kinds)
+                        # Best by score, then id, for queries short of candidates in all shards together.
+                        key = score.astype(np.int64) * n - np.arange(n)
+                        rows = np.argpartition(-key, k - 1)[:k] if n > k else np.arange(n)
+                        found["best"].append((i, rows, score[rows], np.round(((x[rows] - q[i]) ** 2).sum(axis=1), 6)))
+                none = pa.nulls(len(ids), pa.int64())
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(["count"] * len(ids), pa.string()), pa.array(ids), none, none.cast(pa.int32()), none.cast(pa.float64()), *map(pa.array, count.T)], [c.split()[0] for c in RESULT.split(", ")]
+                )
+                for kind, parts in found.items():
+                    if parts:
+                        rows = np.concatenate([p[1] for p in parts])
+                        zero = pa.array(np.zeros(len(rows), np.int64))
+                        yield pa.RecordBatch.from_arrays(
+                            [pa.array([kind] * len(rows), pa.string()), pa.array(np.repeat(ids[[p[0] for p in parts]], [len(p[1]) for p in parts])), pa.array(names[rows].astype(np.int64)),
+                             pa.array(np.concatenate([p[2] for p in parts]).astype(np.int32)), pa.array(np.concatenate([p[3] for p in parts]).astype(np.float64)), zero, zero, zero],
+                            [c.split()[0] for c in RESULT.split(", ")],
+                        )
 
     raw = index.shards.mapInArrow(run, RESULT)
     return raw if details else merge_shards(raw, k)

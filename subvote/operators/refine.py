@@ -93,23 +93,35 @@ def fold(x: np.ndarray, ids: np.ndarray, q: np.ndarray, k: int, step: int = STEP
                 alive = alive[keep]
                 if not len(alive):
                     break
-        whole = set(alive.tolist())
-        for i in range(len(part)):
-            count.started += 1
-            changed = False
-            if i in whole:
-                count.completed += 1
-                entry = (round(float(total[i]), 6), int(names[i]))
-                if len(best) < k or entry < best[k - 1]:
-                    changed = len(best) < k or entry[0] < best[k - 1][0]
-                    bisect.insort(best, entry)
-                    del best[k:]
-            else:
-                count.pruned += 1
+        # Only candidates that may enter the best k are looked at one by one.
+        measured = np.zeros(len(part), dtype=bool)
+        measured[alive] = True
+        enters = np.flatnonzero(measured & (np.round(total, 6) <= (best[k - 1][0] if len(best) >= k else np.inf)))
+        before, stop = 0, len(part)
+        for i in [*enters.tolist(), len(part)]:
+            if patience is not None and len(best) >= k and idle + i - before >= patience:
+                stop = before + max(patience - idle, 0)
+                count.stopped = 1
+                break
+            idle += i - before
+            before = i + 1
+            if i == len(part):
+                break
+            entry, changed = (round(float(total[i]), 6), int(names[i])), False
+            if len(best) < k or entry < best[k - 1]:
+                changed = len(best) < k or entry[0] < best[k - 1][0]
+                bisect.insort(best, entry)
+                del best[k:]
             idle = 0 if changed else idle + 1
             if patience is not None and len(best) >= k and idle >= patience:
-                count.stopped = 1
-                return best, count, pruned
+                stop, count.stopped = i + 1, 1
+                break
+        count.started += stop
+        done_ = int(measured[:stop].sum())
+        count.completed += done_
+        count.pruned += stop - done_
+        if count.stopped:
+            return best, count, pruned
     return best, count, pruned
 
 
