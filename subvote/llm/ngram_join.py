@@ -197,13 +197,13 @@ class Join:
         """
         p = self.percent
         ranges = meeting.groupBy("group").agg(F.min("n").alias("n_min"), F.max("n").alias("n_max"))
-        matrix = meeting.groupBy("token", "group").agg(F.count("*").alias("times"))
+        matrix = meeting.groupBy("token", "group").agg(F.count("*").alias("times")).join(ranges, "group")
         low, high = F.greatest(F.col("n_min"), F.ceil(F.col("n") * p / 100 - 1e-9)), F.least(F.col("n_max"), F.floor(F.col("n") * 100 / p + 1e-9))
         queries = meeting.select("token", "sid", "n", F.col("group").alias("mine"))
-        agree = queries.join(matrix, "token").filter((F.col("group") != F.col("mine")) | (F.col("times") > 1))
-        agree = agree.groupBy("sid", "n", "mine", "group").agg(F.count("*").alias("common")).join(ranges, "group")
+        agree = queries.join(matrix, "token").filter((low <= high) & ((F.col("group") != F.col("mine")) | (F.col("times") > 1)))
         required = F.least(self._required(F.col("n"), low), self._required(F.col("n"), high))
-        return agree.filter((low <= high) & (F.col("common") >= required)).select("sid", "n", "mine", "group")
+        agree = agree.withColumn("required", required).groupBy("sid", "n", "mine", "group", "required").agg(F.count("*").alias("common"))
+        return agree.filter(F.col("common") >= F.col("required")).select("sid", "n", "mine", "group")
 
     def _links(self, sets: DataFrame, meeting: DataFrame) -> DataFrame:
         percent = self.percent
