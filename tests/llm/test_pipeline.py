@@ -84,3 +84,18 @@ def test_empty_table_runs_through(spark, sf, tmp_path):
         docs.write.parquet(str(tmp_path / stage.__name__))
         docs = spark.read.parquet(str(tmp_path / stage.__name__))
     assert docs.count() == 0
+
+
+def test_stages_on_odd_rows(spark, sf):
+    """Nulls, repeats and columns named like the operators' own go through every stage."""
+    from pyspark.sql import functions as F
+
+    from tests.llm.test_operators import ODD, SCHEMA
+
+    names = ("keep_id", "group_size", "kept", "size", "taken", "component_id", "start", "length", "sequence_id", "sid", "token")
+    df = spark.createDataFrame(ODD, SCHEMA).withColumns({n: F.lit(None).cast("string") for n in names})
+    rows = df.count()
+    for _, stage in corpus_pipeline.STAGES[:-1]:
+        out = stage(spark, df, sf)
+        assert out.columns == df.columns and out.count() <= 2 * rows
+    assert corpus_pipeline.STAGES[-1][1](spark, df, sf).count() > 0
