@@ -192,8 +192,10 @@ class Join:
         """(sid, n, mine, group): sets and groups whose rows in the matrix agree often enough.
 
         The matrix has a row per (token, group); a set agrees with a group in the prefix
-        tokens that some other set of the group holds.  The least number required over the
-        sizes of the group is taken at the ends of their range.
+        tokens that some other set of the group holds.  The number required over the sizes
+        of the group is bounded from below: up to n it is least at the low end; above n its
+        two ceilings make it rise and fall, but it stays above the value without them, which
+        is least at the high end (in whole numbers, so that no rounding lifts it).
         """
         p = self.percent
         ranges = meeting.groupBy("group").agg(F.min("n").alias("n_min"), F.max("n").alias("n_max"))
@@ -201,7 +203,8 @@ class Join:
         low, high = F.greatest(F.col("n_min"), F.ceil(F.col("n") * p / 100 - 1e-9)), F.least(F.col("n_max"), F.floor(F.col("n") * 100 / p + 1e-9))
         queries = meeting.select("token", "sid", "n", F.col("group").alias("mine"))
         agree = queries.join(matrix, "token").filter((low <= high) & ((F.col("group") != F.col("mine")) | (F.col("times") > 1)))
-        required = F.least(self._required(F.col("n"), low), self._required(F.col("n"), high))
+        above = F.floor(p * (100 * F.col("n") - p * high) / (100 * (100 + p))) + 1
+        required = F.when(high <= F.col("n"), self._required(F.col("n"), low)).when(low > F.col("n"), above).otherwise(F.least(self._required(F.col("n"), low), above))
         agree = agree.withColumn("required", required).groupBy("sid", "n", "mine", "group", "required").agg(F.count("*").alias("common"))
         return agree.filter(F.col("common") >= F.col("required")).select("sid", "n", "mine", "group")
 

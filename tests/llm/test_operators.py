@@ -100,6 +100,16 @@ def test_join_opens_groups(spark):
     assert got == brute_components(rows, 3, 90)
 
 
+@pytest.mark.parametrize("k, percent, words, own", [(3, 90, 67, (3, 4, 5)), (5, 80, 25, (2, 3, 4))])
+def test_join_of_three_sizes(spark, k, percent, words, own):
+    """One passage with 3 lengths of own words: the number required is least inside the range of sizes."""
+    passage = [f"p{i}" for i in range(words)]
+    rows = [(d, " ".join([*passage, *(f"x{d}.{i}" for i in range(n))])) for d, n in enumerate(own)]
+    got = {r[0]: (r[1], r[2]) for r in ngram_join.join(spark.createDataFrame(rows, "doc_id long, text string"), k, percent).collect()}
+    assert got == brute_components(rows, k, percent)
+    assert got[0][1] == got[1][1]
+
+
 def test_blocks_find_all_components():
     import pyarrow as pa
 
