@@ -20,3 +20,24 @@ def test_udtf_knn_searches_all_rows(spark, sf):
         for rank, i in enumerate(np.lexsort((ids, d2))[:3], start=1):
             want[int(ids[q]), rank] = (int(ids[i]), float(d2[i]))
     assert got == want
+
+
+def test_doc_hash_knn_is_whole(spark, sf):
+    got = {r["query_id"]: (r["sum_dist2"], r["n"]) for r in entry.queries()["q_doc_hash_knn"](spark, sf).collect()}
+    ids, x = rows(sources.documents(spark, sf, 768))
+    want = {}
+    for q in np.flatnonzero(ids % 100 == 0):
+        d2 = np.delete(np.round(((x - x[q]) ** 2).sum(axis=1), 6), q)
+        want[int(ids[q])] = (round(float(np.sort(d2)[:3].sum()), 4), 3)
+    assert got.keys() == want.keys()
+    for q, (total, n) in got.items():
+        assert n == 3 and abs(total - want[q][0]) < 2e-4
+
+
+def test_doc_knn_join_has_768_dimensions(spark, sf):
+    got = entry.queries()["q_doc_knn_join"](spark, sf).collect()
+    ids, x = rows(sources.documents(spark, sf, 768))
+    at = {int(i): j for j, i in enumerate(ids)}
+    assert got
+    for r in got:
+        assert abs(r["dist2"] - ((x[at[r["query_id"]]] - x[at[r["id"]]]) ** 2).sum()) < 1e-4
