@@ -458,11 +458,11 @@ def q_udtf_traverse(spark, sf_dir):
 m AS (SELECT a.id AS query_id, b.id, round(sum((a.x - b.x) * (a.x - b.x)), 6) AS dist2 FROM d a JOIN d b ON a.j = b.j WHERE a.id % 100 = 0 AND b.id % 10 = 1 GROUP BY a.id, b.id)
 SELECT query_id, rank::INT AS rank, id, dist2 FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dist2, id) AS rank FROM m) WHERE rank <= 3""")
 def q_udtf_knn(spark, sf_dir):
-    """k-NN as a table function in a lateral join: k of every block of at most 1,000 ids, then merged."""
+    """k-NN as a table function in a lateral join: k of every block of at most 64 ids, then merged."""
     udfs.register(spark)
     df = sources.embeddings(spark, sf_dir)
     df.filter("id % 100 = 0").createOrReplaceTempView("udtf_queries")
-    blocks = df.groupBy(F.floor(F.col("id") / 1000).alias("block")).agg(F.collect_list(F.struct("id", "vec")).alias("rows"))
+    blocks = df.groupBy(F.floor(F.col("id") / 64).alias("block")).agg(F.collect_list(F.struct("id", "vec")).alias("rows"))
     blocks.select(F.col("rows.id").alias("ids"), F.col("rows.vec").alias("vecs")).createOrReplaceTempView("udtf_base")
     parts = spark.sql("SELECT /*+ BROADCAST(q) */ q.id AS query_id, n.id, n.dist2 FROM udtf_queries q CROSS JOIN udtf_base b, LATERAL nearest(q.vec, b.ids, b.vecs, 3) n")
     return exact.merge(parts, 3)
