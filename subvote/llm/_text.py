@@ -1,13 +1,16 @@
 """Vectorised word kernels shared by the text operators.
 
 Everything here works on whole Arrow string columns: words are byte runs outside
-``[\\x20\\x09-\\x0D]``, found and hashed with numpy over the UTF-8 buffer, never word by
-word in Python.  Hashes are 64-bit polynomial sums over a random byte table followed by
-an avalanche step; callers that need certainty verify or use two independent hashes.
+``[\\x20\\x09-\\x0D]``, found and hashed with numpy over the UTF-8 buffer.  A span of bytes
+is identified by two 64-bit lanes and its length: the bytes themselves up to 16, a
+BLAKE2b digest of 128 bits beyond.  Two independent 64-bit hashes are mixed from them, so
+what is told apart by both is told apart by 128 bits of the text.
 """
 
 from __future__ import annotations
 
+import hashlib
+
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
@@ -15,6 +18,7 @@ import pyarrow.compute as pc
 U64 = np.uint64
 _GOLDEN = 0x9E3779B97F4A7C15
 _MASK = (1 << 64) - 1
+_ODD = 0x5851F42D4C957F2D
 
 
 def mix64(x: np.ndarray, salt: int = 0) -> np.ndarray:
@@ -25,37 +29,57 @@ def mix64(x: np.ndarray, salt: int = 0) -> np.ndarray:
     return x ^ (x >> U64(31))
 
 
-_BYTE = mix64(np.arange(256, dtype=U64), 11)
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
-_BYTE_LOWER = _BYTE[_LOWER]
 _SPACE = np.zeros(256, dtype=bool)
 _SPACE[[9, 10, 11, 12, 13, 32]] = True
-_BASE = 0x5851F42D4C957F2D
-_BASE_INV = pow(_BASE, -1, 1 << 64)
-_powers: dict[str, np.ndarray] = {}
-
-
-def _power(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Powers of the base and of its inverse for positions 0..n-1, kept between calls."""
-    have = _powers.get("up")
-    if have is None or len(have) < n:
-        size = max(n, 1 << 16)
-        for name, base in (("up", _BASE), ("down", _BASE_INV)):
-            out = np.full(size, U64(base))
-            out[0] = 1
-            _powers[name] = np.multiply.accumulate(out)
-        have = _powers["up"]
-    return have[:n], _powers["down"]
+#: Masks of the first 0..8 bytes of a little-endian lane.
+_FIRST = np.array([(1 << (8 * n)) - 1 for n in range(9)], U64)
+
+
+class Spans:
+    """Identities of byte spans: exact up to 16 bytes, a cryptographic digest beyond."""
+
+    __slots__ = ("low", "high", "size")
+
+    def __init__(self, buf: np.ndarray, starts: np.ndarray, ends: np.ndarray, lower: bool = False):
+        padded = np.zeros((len(buf) // 8 + 4) * 8, np.uint8)
+        padded[: len(buf)] = _LOWER[buf] if lower else buf
+        lanes = padded.view("<u8")
+        self.size = (ends - starts).astype(np.int64)
+        at, shift = starts >> 3, ((starts & 7) << 3).astype(U64)
+        rest = U64(63) - shift  # one bit less, as a shift by 64 has no value
+
+        def lane(k: int, which=slice(None)) -> np.ndarray:
+            one, two = lanes[at[which] + k], lanes[at[which] + k + 1]
+            return (one >> shift[which]) | ((two << rest[which]) << U64(1))
+
+        self.low = lane(0) & _FIRST[np.minimum(self.size, 8)]
+        self.high = np.zeros(len(self.size), U64)
+        long = np.flatnonzero(self.size > 8)
+        self.high[long] = lane(1, long) & _FIRST[np.minimum(self.size[long] - 8, 8)]
+        over = np.flatnonzero(self.size > 16)
+        if len(over):
+            raw, digest = memoryview(padded), hashlib.blake2b
+            found = b"".join([digest(raw[a:b], digest_size=16).digest() for a, b in zip(starts[over].tolist(), ends[over].tolist(), strict=True)])
+            pair = np.frombuffer(found, "<u8").reshape(-1, 2)
+            self.low[over], self.high[over] = pair[:, 0], pair[:, 1]
+
+    def hash(self, salt: int = 0) -> np.ndarray:
+        """64 bits; hashes of different salts are independent."""
+        out = mix64(mix64(self.low, 211 + salt) ^ (self.size.astype(U64) * U64(_ODD)), 227 + salt)
+        long = np.flatnonzero(self.size > 8)
+        out[long] = mix64(out[long] ^ (self.high[long] * U64(_ODD)), 223 + salt)
+        return out
 
 
 class Words:
     """Words of a slice of documents: byte bounds, first word of each document, hashes."""
 
-    __slots__ = ("buf", "offs", "starts", "ends", "first", "_lower", "_hash")
+    __slots__ = ("buf", "offs", "starts", "ends", "first", "_lower", "_spans", "_hash")
 
     def __init__(self, buf: np.ndarray, offs: np.ndarray, lower: bool = False):
-        self.buf, self.offs, self._lower, self._hash = buf, offs, lower, None
+        self.buf, self.offs, self._lower, self._spans, self._hash = buf, offs, lower, None, {}
         solid = ~_SPACE[buf]
         before = np.empty_like(solid)
         after = np.empty_like(solid)
@@ -78,20 +102,25 @@ class Words:
     def doc(self) -> np.ndarray:
         return np.repeat(np.arange(len(self.offs) - 1), self.counts)
 
+    def hashed(self, salt: int = 0) -> np.ndarray:
+        """A 64-bit hash of every word; two salts give 128 independent bits."""
+        if salt not in self._hash:
+            if self._spans is None:
+                self._spans = Spans(self.buf, self.starts, self.ends, self._lower)
+            self._hash[salt] = self._spans.hash(salt)
+        return self._hash[salt]
+
     @property
     def hashes(self) -> np.ndarray:
-        if self._hash is None:
-            self._hash = span_hashes(self.buf, self.starts, self.ends, self._lower)
-        return self._hash
+        return self.hashed(0)
 
-    def windows(self, k: int, salt: int = 0) -> tuple[np.ndarray, np.ndarray]:
-        """Starts (word index) and hashes of all runs of k words inside one document."""
-        h, n = self.hashes, len(self.starts)
+    def windows(self, k: int) -> np.ndarray:
+        """Word index of every run of k words inside one document."""
+        n = len(self.starts)
         if n < k:
-            return np.empty(0, np.int64), np.empty(0, U64)
+            return np.empty(0, np.int64)
         doc = self.doc
-        at = np.flatnonzero(doc[: n - k + 1] == doc[k - 1 :])
-        return at, roll(h, k, salt)[at]
+        return np.flatnonzero(doc[: n - k + 1] == doc[k - 1 :])
 
 
 def roll(h: np.ndarray, k: int, salt: int = 0) -> np.ndarray:
@@ -103,12 +132,8 @@ def roll(h: np.ndarray, k: int, salt: int = 0) -> np.ndarray:
     return mix64(out, k + salt)
 
 
-def span_hashes(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray, lower: bool = False) -> np.ndarray:
-    up, down = _power(len(buf) + 1)
-    sums = np.empty(len(buf) + 1, U64)
-    sums[0] = 0
-    np.cumsum((_BYTE_LOWER if lower else _BYTE)[buf] * up[: len(buf)], out=sums[1:])
-    return mix64((sums[ends] - sums[starts]) * down[starts] + (ends - starts).astype(U64))
+def span_hashes(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray, salt: int = 0) -> np.ndarray:
+    return Spans(buf, starts, ends).hash(salt)
 
 
 def text_slices(column: pa.Array, limit: int = 1 << 20):

@@ -5,7 +5,9 @@ concatenation of its white-space-bounded pieces.  Pieces of a batch are found an
 with numpy, distinct ones go through the library, and a bounded memo keeps what recent
 batches needed.  Texts for which a piece could depend on its surroundings (control
 characters, white space outside ASCII, letters beyond Latin Extended-B, special-token
-strings) are encoded whole.  Pieces are told apart by 64-bit hashes.
+strings) are encoded whole.  Pieces are looked up by a 64-bit hash and compared by their
+whole identity (the bytes, or a 128-bit digest of long ones); a text with a piece whose
+hash belongs to another piece is encoded whole as well.
 """
 
 from __future__ import annotations
@@ -15,7 +17,7 @@ import os
 import numpy as np
 import pyarrow as pa
 
-from subvote.llm._text import U64, Words, ragged, span_hashes, text_slices
+from subvote.llm._text import U64, Spans, Words, ragged, text_slices
 
 _UNSAFE = np.ones(256, dtype=bool)
 _UNSAFE[[9, 10, 13]] = False
@@ -38,7 +40,7 @@ def tokenizer(path: str):
 class Memo:
     """Values of distinct pieces by hash: a sorted main run and a recent one, merged in steps."""
 
-    def __init__(self, limit: int = 1 << 20):
+    def __init__(self, limit: int = 1 << 19):
         self.limit = limit
         self.clear()
 
@@ -124,7 +126,7 @@ class Encoder:
     anything, the others are single pieces of Latin text.
     """
 
-    def __init__(self, measure, spaced: bool, limit: int = 1 << 20):
+    def __init__(self, measure, spaced: bool, limit: int = 1 << 19):
         self.measure, self.spaced, self.memo = measure, spaced, Memo(limit)
         self._reset()
 
@@ -132,6 +134,7 @@ class Encoder:
         self.memo.clear()
         self.at = np.zeros(1, np.int64)
         self.flat = np.empty(0, np.int32)
+        self.known = np.empty((0, 3), U64)
 
     def _append(self, found: list[np.ndarray]) -> None:
         sizes = np.fromiter((len(x) for x in found), np.int64, len(found))
@@ -147,19 +150,30 @@ class Encoder:
         if self.memo.used > self.memo.limit:
             self._reset()
         words = Words(buf, offs)
-        starts, ends = pieces(words, self.spaced)
-        doc = np.searchsorted(offs, starts, "right") - 1
+        all_starts, all_ends = pieces(words, self.spaced)
+        owner = np.searchsorted(offs, all_starts, "right") - 1
         bad = unsafe_docs(buf, offs)
-        fine = ~bad[doc]
-        starts, ends, doc = starts[fine], ends[fine], doc[fine]
-        keys, index, back = np.unique(span_hashes(buf, starts, ends), return_index=True, return_inverse=True)
-        slots = self.memo.find(keys)
+        while True:
+            fine = ~bad[owner]
+            starts, ends, doc = all_starts[fine], all_ends[fine], owner[fine]
+            spans = Spans(buf, starts, ends)
+            keys, index, back = np.unique(spans.hash(), return_index=True, return_inverse=True)
+            slots = self.memo.find(keys)
+            mine = np.stack([spans.low, spans.high, spans.size.astype(U64)], axis=1)
+            have = mine[index]
+            known = slots >= 0
+            have[known] = self.known[slots[known]]
+            other = (mine != have[back]).any(axis=1)
+            if not other.any():
+                break
+            bad[doc[other]] = True
         new = np.flatnonzero(slots < 0)
         if len(new):
             raw = buf.tobytes()
             texts = [raw[s:e].decode() for s, e in zip(starts[index[new]].tolist(), ends[index[new]].tolist(), strict=True)]
             self._append(self.measure(texts, False))
             slots[new] = self.memo.add(keys[new])
+            self.known = np.concatenate([self.known, have[new]])
         at, size = self.at[slots], self.at[slots + 1] - self.at[slots]
         flat, at, size = self.flat, at[back], size[back]
         if bad.any():

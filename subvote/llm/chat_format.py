@@ -1,7 +1,8 @@
 """Chat formatting with typed content parts, built-in functions only.
 
 A message is a list of parts (text, image, audio, document).  A visitor over the parts
-writes texts with control strings escaped, writes an ordered placeholder for every
+gathers neighbouring texts and writes them with control strings escaped, so that no
+control string arises where two parts meet, writes an ordered placeholder for every
 attachment, and records its reference and the number of tokens it expands to.
 
     turn      ::=  <s>[INST] role [/INST] content</s>
@@ -86,14 +87,18 @@ def format_chats(
 
     def visit(state: Column, part: Column) -> Column:
         n = state["n"] + F.when(attachment(part), 1).otherwise(0)
-        piece = F.when(attachment(part), F.concat(F.lit("<|"), part["kind"], F.lit(":"), n.cast("string"), F.lit("|>"))).otherwise(escape(part["text"]))
-        return F.struct(F.concat(state["out"], piece).alias("out"), n.alias("n"))
+        mark = F.concat(state["out"], escape(state["open"]), F.lit("<|"), part["kind"], F.lit(":"), n.cast("string"), F.lit("|>"))
+        return F.struct(
+            F.when(attachment(part), mark).otherwise(state["out"]).alias("out"),
+            F.when(attachment(part), F.lit("")).otherwise(F.concat(state["open"], F.coalesce(part["text"], F.lit("")))).alias("open"),
+            n.alias("n"),
+        )
 
     def content(t: Column, i: Column) -> Column:
         earlier = F.aggregate(F.slice("_counts", F.lit(1), i), F.lit(0), lambda a, x: a + x)
-        start = F.struct(F.lit("").alias("out"), earlier.alias("n"))
+        start = F.struct(F.lit("").alias("out"), F.lit("").alias("open"), earlier.alias("n"))
         one = F.when(attachment(t["parts"][0]), F.lit(None)).otherwise(escape(t["parts"][0]["text"]))
-        return F.when((F.size(t["parts"]) == 1) & one.isNotNull(), one).otherwise(F.aggregate(t["parts"], start, visit, lambda s: s["out"]))
+        return F.when((F.size(t["parts"]) == 1) & one.isNotNull(), one).otherwise(F.aggregate(t["parts"], start, visit, lambda s: F.concat(s["out"], escape(s["open"]))))
 
     chats = chats.withColumn(
         "_pieces",
@@ -130,6 +135,20 @@ def read_turns(formatted: Column) -> Column:
     )
 
 
+def read_parts(content: Column) -> Column:
+    """array<struct<kind,text,ordinal>> of an escaped content: texts unescaped, attachments by ordinal.
+
+    Escaped texts hold no `<|`, so every one of them opens a placeholder.
+    """
+    chunks = F.split(content, F.lit("<\\|"))
+    part = lambda kind, text, n: F.struct(kind.alias("kind"), text.alias("text"), n.alias("ordinal"))
+    words = lambda c: part(F.lit("text"), unescape(c), F.lit(None).cast("int"))
+    mark = lambda c: part(F.substring_index(c, ":", 1), F.lit(None).cast("string"), F.substring_index(F.substring_index(c, "|>", 1), ":", -1).cast("int"))
+    rest = lambda c: F.substr(c, F.length(F.substring_index(c, "|>", 1)) + 3)
+    found = F.concat(F.array(words(chunks[0])), F.flatten(F.transform(F.slice(chunks, F.lit(2), F.size(chunks)), lambda c: F.array(mark(c), words(rest(c))))))
+    return F.filter(found, lambda p: (p["kind"] != "text") | (p["text"] != ""))
+
+
 def read_loss(formatted: Column, spans: Column) -> Column:
     """Text under the loss mask, unescaped, in order."""
     return F.array_join(F.transform(spans, lambda s: unescape(F.substr(formatted, s["start"] + 1, s["end"] - s["start"]))), "")

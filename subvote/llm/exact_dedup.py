@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from subvote.llm._store import materialize
+from subvote.llm._store import materialize, whole_row
 
 SPACE = "[\\x20\\x09-\\x0D]"
 
@@ -85,11 +85,13 @@ def kept_rows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -
     are judged apart; of rows that repeat in all three, one stays.
     """
     keep = groups(docs, id_col, text_col).filter("kept").select(
-        F.col(id_col).alias("_k_id"), F.col("text_sha256").alias("_k_sha"), F.col("n_code_points").alias("_k_chars"), F.col("n_tied").alias("_k_tied")
-    ).dropDuplicates(["_k_id", "_k_sha"])
-    sha = F.sha2(F.encode(normalized(F.col(text_col)), "utf-8"), 256)
-    chars = F.length(F.coalesce(F.col(text_col), F.lit("")))
-    rows = docs.join(keep, docs[id_col].eqNullSafe(F.col("_k_id")) & (sha == F.col("_k_sha")) & (chars == F.col("_k_chars")))
-    once = rows.filter("_k_tied = 1")
-    repeated = rows.filter("_k_tied > 1").dropDuplicates(["_k_id", "_k_sha"])
-    return once.unionByName(repeated).select(*[F.col(f"`{c}`") for c in docs.columns])
+        F.col(id_col).alias("k_id"), F.col("text_sha256").alias("k_sha"), F.col("n_code_points").alias("k_chars"), F.col("n_tied").alias("k_tied")
+    ).dropDuplicates(["k_id", "k_sha"])
+    own = docs.select(
+        whole_row(), F.col(id_col).alias("id"), F.sha2(F.encode(normalized(F.col(text_col)), "utf-8"), 256).alias("sha"),
+        F.length(F.coalesce(F.col(text_col), F.lit(""))).alias("chars"),
+    )
+    rows = own.join(keep, F.col("id").eqNullSafe(F.col("k_id")) & (F.col("sha") == F.col("k_sha")) & (F.col("chars") == F.col("k_chars")))
+    once = rows.filter("k_tied = 1").select("row")
+    repeated = rows.filter("k_tied > 1").dropDuplicates(["k_id", "k_sha"]).select("row")
+    return once.unionByName(repeated).select("row.*")

@@ -5,8 +5,9 @@ case letters, words bounded by a blank).  A document goes to the language whose
 is nearest by out-of-place distance: the sum over the document's n-grams of how far their
 ranks lie apart, with the profile length for n-grams the language lacks.
 
-Profiles are learned from at most about `sample_rows` documents per language, those whose
-hashed id falls under a threshold set by the language's number of documents.
+Profiles are learned from a bounded sample of labelled documents: at most `max_languages`
+languages, those with most documents, and of each about `sample_rows` documents, those
+whose hashed id falls under a threshold set by the language's number of documents.
 
 Defined cases: a null text or one without letters is `und` with score 0; equal counts are
 ranked by n-gram, equal distances go to the first language by name; repeated rows are
@@ -24,11 +25,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from subvote.llm._text import text_slices
+from subvote.llm._text import ragged, text_slices
 from subvote.llm._worker import tidied
 
-#: Labels beyond this are taken for an error; their counts and profiles are broadcast.
-MOST_LANGUAGES = 5000
 _table: dict[str, np.ndarray] = {}
 
 
@@ -76,41 +75,45 @@ def profile(points: np.ndarray, top: int) -> np.ndarray:
 
 
 class Profiles:
-    """Profiles of all languages as one sorted table (n-gram, language) -> rank."""
+    """Profiles of all languages as postings: per n-gram the languages that rank it, and where."""
 
     def __init__(self, ranked: dict[str, list[int]], top: int):
         self.names, self.top = sorted(ranked), top
-        grams = sorted({g for v in ranked.values() for g in v})
-        self.grams = np.array(grams, np.int64)
-        self.rank = np.full((len(grams), len(self.names)), -1, np.int64)
-        where = {g: i for i, g in enumerate(grams)}
-        for j, name in enumerate(self.names):
-            for r, g in enumerate(ranked[name]):
-                self.rank[where[g], j] = r
+        sizes = [len(ranked[n]) for n in self.names]
+        gram = np.array([g for n in self.names for g in ranked[n]], np.int64)
+        lang = np.repeat(np.arange(len(sizes)), sizes).astype(np.int64)
+        rank = np.concatenate([np.arange(n) for n in sizes]) if sizes else np.empty(0, np.int64)
+        order = np.argsort(gram, kind="stable")
+        self.lang, self.rank = lang[order], rank[order]
+        self.grams, first = np.unique(gram[order], return_index=True)
+        self.edges = np.append(first, len(gram))
 
     def predict(self, points: np.ndarray) -> tuple[str, float]:
         mine = profile(points, self.top)
         if not len(mine) or not self.names:
             return "und", 0.0
+        # Every n-gram costs the profile length, less what a language that ranks it saves.
         at = np.minimum(np.searchsorted(self.grams, mine), len(self.grams) - 1)
-        rank = np.where((self.grams[at] == mine)[:, None], self.rank[at], -1)
-        apart = np.where(rank < 0, self.top, np.abs(rank - np.arange(len(mine))[:, None]))
-        distance = np.minimum(apart, self.top).sum(axis=0)
+        place = np.flatnonzero(self.grams[at] == mine)
+        begin, n = self.edges[at[place]], self.edges[at[place] + 1] - self.edges[at[place]]
+        slot = np.repeat(begin, n) + ragged(n)
+        saved = self.top - np.minimum(np.abs(self.rank[slot] - np.repeat(place, n)), self.top)
+        distance = self.top * len(mine) - np.bincount(self.lang[slot], weights=saved, minlength=len(self.names))
         best = int(np.argmin(distance))
         return self.names[best], 1.0 - float(distance[best]) / (self.top * len(mine))
 
 
 def fit(
-    docs: DataFrame, labelled: str, sample_rows: int = 2000, top: int = 300, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang"
+    docs: DataFrame, labelled: str, sample_rows: int = 2000, top: int = 300, max_languages: int = 5000, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang"
 ) -> Profiles:
     """Learn profiles from the rows for which the SQL predicate `labelled` holds."""
     rows = docs.filter(labelled).filter(F.col(lang_col).isNotNull() & F.col(id_col).isNotNull())
-    counts = rows.groupBy(F.col(lang_col).alias("_lang")).agg(F.count("*").alias("_n")).limit(MOST_LANGUAGES + 1).collect()
-    if len(counts) > MOST_LANGUAGES:
-        raise ValueError(f"more than {MOST_LANGUAGES} languages")
-    known = F.broadcast(docs.sparkSession.createDataFrame(counts, "_lang string, _n long"))
-    drawn = F.pmod(F.xxhash64(id_col), F.lit(1 << 40)) * F.col("_n") < F.lit(sample_rows) * F.lit(float(1 << 40))
-    sample = rows.join(known, F.col(lang_col) == F.col("_lang")).filter(drawn).select("_lang", text_col)
+    counts = rows.groupBy(F.col(lang_col).alias("k_lang")).agg(F.count("*").alias("k_n"))
+    counts = counts.orderBy(F.desc("k_n"), "k_lang").limit(max_languages).collect()
+    known = F.broadcast(docs.sparkSession.createDataFrame(counts, "k_lang string, k_n long"))  # max_languages rows
+    drawn = F.pmod(F.xxhash64(F.col("id")), F.lit(1 << 40)).cast("double") * F.col("k_n") < F.lit(sample_rows * float(1 << 40))
+    rows = rows.select(F.col(id_col).alias("id"), F.col(lang_col).alias("lang"), F.col(text_col).alias("text"))
+    sample = rows.join(known, F.col("lang") == F.col("k_lang")).filter(drawn).select("k_lang", "text")
 
     @tidied
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

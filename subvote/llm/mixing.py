@@ -5,8 +5,10 @@ key), each task sums its sizes per source, a small prefix over those sums gives
 task its start, and the running size decides which rows fall within the budget.
 
 Defined cases: null text has size 0; a null source is a source of its own, last in
-order; ties of the key are broken by id, then size; repeated rows each count; an empty
-table gives no rows; a source without words has target 0; other columns are ignored.
+order; rows of one id (or of none) are ordered by the digest of their text, so that they
+spread over ranges too; repeated rows each count and each have their own share; an empty
+table gives no rows; a source without words has target 0; other columns are ignored by
+`mix` and carried along, whatever their names, by `apply_mix`.
 """
 
 from __future__ import annotations
@@ -16,7 +18,7 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from subvote.llm._store import materialize
+from subvote.llm._store import materialize, text_tag, whole_row
 
 WORD = "[^\\x20\\x09-\\x0D]+"
 
@@ -66,12 +68,23 @@ def mix(
     `taken` counts the words the mix takes of the row over all epochs; the row that
     crosses the budget of its source is taken in part, so budgets are met to the word.
     """
-    rows = docs.select(
-        F.col(id_col).alias("_id"), F.col(source_col).alias("source"), n_words(F.col(text_col)).alias("size")
-    ).withColumn("_key", F.md5(F.coalesce(F.col("_id").cast("string"), F.lit("")).cast("binary")))
-    rows = rows.withColumn("_none", F.col("source").isNull())
-    # Ranges are cut by (source, key); sources with many rows span many tasks.
-    dealt = rows.repartitionByRange("_none", "source", "_key").withColumn("_part", F.spark_partition_id())
+    rows = _sized(docs, id_col, source_col, text_col)
+    return _plan(rows, weights, share, max_epochs).select(F.col("_id").alias(id_col), "size", "source", "source_size", "target", "taken")
+
+
+def _sized(docs: DataFrame, id_col: str, source_col: str, text_col: str, *more: Column) -> DataFrame:
+    key = F.md5(F.coalesce(F.col(id_col).cast("string"), F.lit("")).cast("binary"))
+    text = F.col(text_col)
+    return docs.select(
+        F.col(id_col).alias("_id"), F.col(source_col).alias("source"), n_words(text).alias("size"), key.alias("_key"),
+        text_tag(text).alias("_tag"), F.col(source_col).isNull().alias("_none"), *more,
+    )
+
+
+def _plan(rows: DataFrame, weights: Sequence[float], share: float, max_epochs: float) -> DataFrame:
+    """Adds source_size, target, taken to sized rows."""
+    # Ranges are cut by (source, key, text); sources and ids with many rows span many tasks.
+    dealt = rows.repartitionByRange("_none", "source", "_key", "_tag").withColumn("_part", F.spark_partition_id())
     dealt = materialize(dealt, "mix-rows")
     sums = dealt.groupBy("source", "_part").agg(F.sum("size").alias("_sum"))
     sums = materialize(sums.coalesce(1), "mix-sums")
@@ -82,34 +95,41 @@ def mix(
     ).select(F.col("source").alias("_s"), F.col("_part").alias("_p"), "_start")
     goal = goal.withColumnRenamed("source", "_g")
     plan = starts.join(goal, F.col("_s").eqNullSafe(F.col("_g"))).drop("_g")
-    inside = Window.partitionBy("_part", "source").orderBy("_key", "_id", "size").rowsBetween(Window.unboundedPreceding, -1)
+    inside = Window.partitionBy("_part", "source").orderBy("_key", "_tag").rowsBetween(Window.unboundedPreceding, -1)
     out = dealt.withColumn("_before", F.coalesce(F.sum("size").over(inside), F.lit(0)))
     out = out.join(plan, F.col("source").eqNullSafe(F.col("_s")) & (F.col("_part") == F.col("_p")))
     goal_words = F.floor(F.col("target")).cast("long")
     epochs = F.when(F.col("source_size") > 0, F.floor(goal_words / F.col("source_size"))).otherwise(0).cast("long")
     left = goal_words - epochs * F.col("source_size")
     part = F.greatest(F.lit(0).cast("long"), F.least(F.col("size"), left - (F.col("_start") + F.col("_before"))))
-    return out.select(
-        F.col("_id").alias(id_col), "size", "source", "source_size", "target",
-        (epochs * F.col("size") + part).alias("taken"),
-    )
+    return out.withColumn("taken", epochs * F.col("size") + part)
 
 
-def apply_mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+def apply_mix(
+    docs: DataFrame,
+    weights: Sequence[float] = (3.0, 1.0, 2.0),
+    share: float = 1.5,
+    max_epochs: float = 2.0,
+    id_col: str = "doc_id",
+    source_col: str = "source",
+    text_col: str = "text",
+    epoch_col: str | None = None,
+) -> DataFrame:
     """The mixture as rows of `docs`: a row repeats once per epoch that takes it.
 
-    Where a budget ends inside a document, the last copy holds the words taken, joined
-    by one space.  Ids must be unique; repeated rows share the plan of their id.
+    Whole rows travel with the plan, so every row is taken as planned even where ids repeat.
+    Where a budget ends inside a document, the last copy is the text up to the last word
+    taken, as it stands.  `epoch_col` names a column for the number of the copy, from 1.
     """
-    plan = mix(docs, id_col=id_col, text_col=text_col, **options)
-    plan = plan.select(F.col(id_col).alias("_m_id"), F.col("size").alias("_m_size"), F.col("taken").alias("_m_taken"))
-    plan = plan.groupBy("_m_id").agg(F.max("_m_size").alias("_m_size"), F.max("_m_taken").alias("_m_taken"))
-    whole = F.floor(F.col("_m_taken") / F.col("_m_size"))
-    copies = F.when(F.col("_m_size") == 0, F.lit(0)).otherwise(whole + F.when(F.col("_m_taken") % F.col("_m_size") > 0, 1).otherwise(0)).cast("int")
-    rows = docs.join(plan, docs[id_col].eqNullSafe(F.col("_m_id"))).withColumn("_m_copies", copies)
-    rows = rows.filter("_m_copies > 0").withColumn("_m_copy", F.explode(F.sequence(F.lit(1), F.col("_m_copies"))))
-    words = F.filter(F.split(F.col(text_col), "[\\x20\\x09-\\x0D]+"), lambda w: w != "")
-    cut = F.array_join(F.slice(words, 1, (F.col("_m_taken") % F.col("_m_size")).cast("int")), " ")
-    text = F.when(F.col("_m_copy") > whole, cut).otherwise(F.col(text_col))
-    rows = rows.withColumn("_m_text", text)
-    return rows.select(*[F.col("_m_text").alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns])
+    plan = _plan(_sized(docs, id_col, source_col, text_col, whole_row()), weights, share, max_epochs)
+    whole = F.when(F.col("size") > 0, F.floor(F.col("taken") / F.col("size"))).otherwise(0)
+    rest = F.when(F.col("size") > 0, F.col("taken") % F.col("size")).otherwise(0).cast("int")
+    copies = (whole + F.when(rest > 0, 1).otherwise(0)).cast("int")
+    rows = plan.select("row", whole.alias("_whole"), rest.alias("_rest"), copies.alias("_copies")).filter("_copies > 0")
+    rows = rows.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies"))))
+    text = F.col("row").getField(text_col)
+    # Pieces of white space and one word each, in order: a prefix of them is a prefix of the text.
+    cut = F.array_join(F.slice(F.split(text, "(?<=[^\\x20\\x09-\\x0D])(?=[\\x20\\x09-\\x0D])"), 1, F.col("_rest")), "")
+    taken = F.when(F.col("_copy") > F.col("_whole"), cut).otherwise(text)
+    columns = [taken.alias(c) if c == text_col else F.col("row").getField(c).alias(c) for c in docs.columns]
+    return rows.select(*columns, *([F.col("_copy").alias(epoch_col)] if epoch_col else []))

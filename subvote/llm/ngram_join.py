@@ -15,8 +15,8 @@ prefix meets no other drop out; the rest go through the matrix:
 4. opened groups are compared in blocks of bounded volume; what a leader has joined already
    is not compared again, and a block returns the links that join components, never all pairs.
 
-Every step is a table in the shared folder.  Tokens are 64-bit hashes (their upper 8 bits
-replaced by the frequency level), sets are told apart by 128 bits.
+Every step is a table in the shared folder.  Tokens are 56-bit hashes under their frequency
+level; sets are told apart by 128 bits over a second, independent hash of their words.
 
 Defined cases: null, empty and word-less texts have an empty set and no links; texts with
 fewer than k words have the whole sequence as one shingle; null ids are kept, sort first
@@ -34,8 +34,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from subvote.llm._store import materialize
-from subvote.llm._text import U64, Words, as_long, list_array, mix64, text_slices
+from subvote.llm._store import discard, materialize, text_tag, whole_row
+from subvote.llm._text import U64, Words, as_long, list_array, mix64, roll, text_slices
 from subvote.llm.components import components
 from subvote.llm._worker import tidied
 
@@ -47,29 +47,42 @@ BLOCK_TOKENS, BLOCK_SETS = 100_000, 256
 def shingles(buf: np.ndarray, offs: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
     """(document, token) of every shingle with repeats, in document order."""
     words = Words(buf, offs, lower=True)
-    at, tokens = words.windows(k)
+    return word_runs(words, k, 0)
+
+
+def word_runs(words: Words, k: int, salt: int) -> tuple[np.ndarray, np.ndarray]:
+    """(document, hash) of every run of k words, or of all words where a document has fewer."""
+    at = words.windows(k)
+    tokens = roll(words.hashed(salt), k, salt)[at] if len(at) else np.empty(0, U64)
     doc = words.doc[at]
     few = np.flatnonzero((words.counts > 0) & (words.counts < k))
     if len(few):
-        first, count, h = words.first[few], words.counts[few], words.hashes
+        first, count, h = words.first[few], words.counts[few], words.hashed(salt)
         whole = np.zeros(len(few), U64)
         for j in range(k - 1):
             here = count > j
-            whole[here] = mix64(whole[here] ^ h[first[here] + j], 31 + j)
-        whole = mix64(whole + count.astype(U64), 77)
+            whole[here] = mix64(whole[here] ^ h[first[here] + j], 31 + j + salt)
+        whole = mix64(whole + count.astype(U64), 77 + salt)
         doc, tokens = np.concatenate([doc, few]), np.concatenate([tokens, whole])
         order = np.argsort(doc, kind="stable")
         doc, tokens = doc[order], tokens[order]
     return doc, tokens
 
 
-def token_sets(buf: np.ndarray, offs: np.ndarray, k: int, levels: np.ndarray) -> list[np.ndarray]:
-    """The ordered set of every document: distinct tokens, rare ones first."""
-    doc, tokens = shingles(buf, offs, k)
+def token_sets(buf: np.ndarray, offs: np.ndarray, k: int, levels: np.ndarray) -> tuple[list[np.ndarray], list[bytes | None]]:
+    """Of every document: its ordered set (distinct tokens, rare ones first) and the set's name."""
+    words = Words(buf, offs, lower=True)
+    doc, tokens = word_runs(words, k, 0)
+    _, second = word_runs(words, k, 40)
     level = levels[(tokens & U64((1 << SKETCH_BITS) - 1)).astype(np.int64)].astype(U64)
     keys = (level << U64(56)) | (tokens >> U64(8))
     cuts = np.searchsorted(doc, np.arange(1, len(offs) - 1))
-    return [np.unique(x) for x in np.split(keys, cuts)]
+    sets, names = [], []
+    for x, y in zip(np.split(keys, cuts), np.split(second, cuts), strict=True):
+        found, at = np.unique(x, return_index=True)
+        sets.append(found)
+        names.append(set_id(found, y[at]))
+    return sets, names
 
 
 def frequency_levels(docs: DataFrame, k: int, text_col: str) -> np.ndarray:
@@ -131,23 +144,36 @@ class Join:
 
     def __init__(self, docs: DataFrame, k: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text", leaders: int = 3):
         self.spark, self.k, self.percent, self.leaders = docs.sparkSession, k, percent, leaders
-        self.docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+        self.tables: list[DataFrame] = []
+        self.docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"), text_tag(F.col(text_col)).alias("tag"))
 
-    def run(self) -> DataFrame:
-        """doc_id, n_shingles, component_id."""
+    def _table(self, df: DataFrame, name: str) -> DataFrame:
+        """A table that is deleted once the join is through."""
+        self.tables.append(materialize(df, name))
+        return self.tables[-1]
+
+    def rows(self) -> tuple[DataFrame, DataFrame]:
+        """(doc_id, tag, n, sid) of every row, and (sid, root, component_id) of every set."""
         levels = frequency_levels(self.docs, self.k, "text")
         self.levels = self.spark.sparkContext.broadcast(levels)  # 2 MB, fixed
         rows = materialize(self._prefixes(), "join-rows")
-        sets = materialize(
-            rows.filter("n > 0").groupBy("sid").agg(F.min("doc_id").alias("least"), F.first("n").alias("n"), F.first("prefix").alias("prefix")), "join-sets"
+        sets = self._table(
+            rows.filter("n > 0").groupBy("sid").agg(F.min("doc_id").alias("least"), F.min(F.struct("doc_id", "tag")).alias("at"), F.first("n").alias("n"), F.first("prefix").alias("prefix")), "join-sets"
         )
         meeting = self._meeting(sets)
         links = self._links(sets, meeting)
         roots = components(links, "join-components")
         named = sets.select("sid", "least").join(roots.withColumnRenamed("node", "sid"), "sid", "left").withColumn("root", F.coalesce("root", "sid"))
         names = named.groupBy("root").agg(F.min("least").alias("component_id"))
-        named = materialize(named.join(names, "root").select("sid", "component_id"), "join-named")
-        out = rows.select("doc_id", "n", "sid").join(named, "sid", "left")
+        named = materialize(named.join(names, "root").select("sid", "root", "component_id"), "join-named")
+        for table in (*self.tables, roots):
+            discard(table)
+        return rows.drop("prefix"), named
+
+    def run(self) -> DataFrame:
+        """doc_id, n_shingles, component_id."""
+        rows, named = self.rows()
+        out = rows.select("doc_id", "n", "sid").join(named.drop("root"), "sid", "left")
         return out.select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
 
     def _prefixes(self) -> DataFrame:
@@ -157,16 +183,16 @@ class Join:
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 for lo, hi, buf, offs in text_slices(batch.column(1)):
-                    found = token_sets(buf, offs, k, levels.value)
+                    found, names = token_sets(buf, offs, k, levels.value)
                     n = np.fromiter((len(x) for x in found), np.int64, len(found))
                     size = np.where(n > 0, n - _needed(n, percent) + 1, 0)
                     prefix = np.concatenate([x[:s] for x, s in zip(found, size, strict=True)]) if len(found) else np.empty(0, U64)
                     yield pa.RecordBatch.from_arrays(
-                        [batch.column(0).slice(lo, hi - lo), pa.array(n), pa.array([set_id(x) for x in found], pa.binary()), list_array(size, as_long(prefix), pa.int64())],
-                        ["doc_id", "n", "sid", "prefix"],
+                        [*(batch.column(c).slice(lo, hi - lo) for c in (0, 2)), pa.array(n), pa.array(names, pa.binary()), list_array(size, as_long(prefix), pa.int64())],
+                        ["doc_id", "tag", "n", "sid", "prefix"],
                     )
 
-        return self.docs.mapInArrow(run, "doc_id long, n long, sid binary, prefix array<long>")
+        return self.docs.mapInArrow(run, "doc_id long, tag long, n long, sid binary, prefix array<long>")
 
     def _meeting(self, sets: DataFrame) -> DataFrame:
         """(token, sid, n, group) of prefix tokens that two or more sets hold.
@@ -176,11 +202,13 @@ class Join:
         """
         postings = sets.select("sid", "n", F.explode("prefix").alias("token"))
         shared = postings.groupBy("token").agg(F.count("*").alias("held")).filter("held > 1")
-        met = materialize(postings.join(shared, "token"), "join-met")
+        met = self._table(postings.join(shared, "token"), "join-met")
         best = met.groupBy("sid").agg(F.max(F.struct("held", "token")).alias("best"), F.first("n").alias("size"))
         width = math.log(100 / self.percent) / 2
         best = best.select("sid", F.xxhash64("best.token", F.floor(F.log("size") / width)).alias("group"))
-        return materialize(met.join(best, "sid").select("token", "sid", "n", "group"), "join-meeting")
+        out = self._table(met.join(best, "sid").select("token", "sid", "n", "group"), "join-meeting")
+        discard(met)
+        return out
 
     def _required(self, a: Column, b: Column) -> Column:
         """Prefix tokens that sets of sizes a and b must share at least if they link."""
@@ -188,14 +216,22 @@ class Join:
         overlap_ = F.ceil((a + b) * p / (100 + p) - 1e-9)
         return overlap_ - F.ceil(F.greatest(a, b) * p / 100 - 1e-9) + 1
 
+    def _least_required(self, n: Column, low: Column, high: Column) -> Column:
+        """Lower bound of `_required(n, b)` over all sizes b from low to high.
+
+        Up to n it is least at the low end; above n its two ceilings make it rise and fall,
+        but it stays above the value without them, which is least at the high end (in whole
+        numbers, so that no rounding lifts it).
+        """
+        p = self.percent
+        above = F.floor(p * (100 * n - p * high) / (100 * (100 + p))) + 1
+        return F.when(high <= n, self._required(n, low)).when(low > n, above).otherwise(F.least(self._required(n, low), above))
+
     def _surviving(self, meeting: DataFrame) -> DataFrame:
         """(sid, n, mine, group): sets and groups whose rows in the matrix agree often enough.
 
         The matrix has a row per (token, group); a set agrees with a group in the prefix
-        tokens that some other set of the group holds.  The number required over the sizes
-        of the group is bounded from below: up to n it is least at the low end; above n its
-        two ceilings make it rise and fall, but it stays above the value without them, which
-        is least at the high end (in whole numbers, so that no rounding lifts it).
+        tokens that some other set of the group holds.
         """
         p = self.percent
         ranges = meeting.groupBy("group").agg(F.min("n").alias("n_min"), F.max("n").alias("n_max"))
@@ -203,15 +239,13 @@ class Join:
         low, high = F.greatest(F.col("n_min"), F.ceil(F.col("n") * p / 100 - 1e-9)), F.least(F.col("n_max"), F.floor(F.col("n") * 100 / p + 1e-9))
         queries = meeting.select("token", "sid", "n", F.col("group").alias("mine"))
         agree = queries.join(matrix, "token").filter((low <= high) & ((F.col("group") != F.col("mine")) | (F.col("times") > 1)))
-        above = F.floor(p * (100 * F.col("n") - p * high) / (100 * (100 + p))) + 1
-        required = F.when(high <= F.col("n"), self._required(F.col("n"), low)).when(low > F.col("n"), above).otherwise(F.least(self._required(F.col("n"), low), above))
-        agree = agree.withColumn("required", required).groupBy("sid", "n", "mine", "group", "required").agg(F.count("*").alias("common"))
+        agree = agree.withColumn("required", self._least_required(F.col("n"), low, high)).groupBy("sid", "n", "mine", "group", "required").agg(F.count("*").alias("common"))
         return agree.filter(F.col("common") >= F.col("required")).select("sid", "n", "mine", "group")
 
     def _links(self, sets: DataFrame, meeting: DataFrame) -> DataFrame:
         percent = self.percent
-        surviving = materialize(self._surviving(meeting), "join-surviving")
-        members = materialize(surviving.select("sid", "n", F.col("mine").alias("group")).distinct(), "join-members")
+        surviving = self._table(self._surviving(meeting), "join-surviving")
+        members = self._table(surviving.select("sid", "n", F.col("mine").alias("group")).distinct(), "join-members")
         full = self._full_sets(sets, members)
         # Leaders of a group: two drawn by hash, and the set that agrees with most tokens of others.
         lead = members.withColumn("draw", F.struct(F.xxhash64("sid"), "sid", "n"))
@@ -223,32 +257,32 @@ class Join:
         lead = lead.select("group", picks.alias("lead"))
         pairs = members.join(lead, "group").filter((F.col("sid") != F.col("lead.sid")) & _fits(F.col("n"), F.col("lead.n"), percent))
         pairs = pairs.select(F.least("sid", "lead.sid").alias("a"), F.greatest("sid", "lead.sid").alias("b")).distinct()
-        star = materialize(self._verify(pairs, full), "join-star")
+        star = self._table(self._verify(pairs, full), "join-star")
 
         roots = components(star, "join-roots")
         members = members.join(roots.withColumnRenamed("node", "sid"), "sid", "left").withColumn("root", F.coalesce("root", "sid"))
-        members = materialize(members, "join-rooted")
-        opened = materialize(self._candidates(surviving, members, full), "join-opened")
-        if opened.isEmpty():
-            return star
-        return star.union(materialize(self._open(opened, members, full), "join-opened-links"))
+        members = self._table(members, "join-rooted")
+        opened = self._table(self._candidates(surviving, members, full), "join-opened")
+        links = star.union(self._open(opened, members, full)) if not opened.isEmpty() else star
+        links = self._table(links, "join-links")
+        return links
 
     def _full_sets(self, sets: DataFrame, members: DataFrame) -> DataFrame:
         """(sid, tokens) of the sets that meet others, from their texts."""
         k, levels = self.k, self.levels
-        wanted = sets.select("sid", "least").join(members.select("sid").distinct(), "sid", "left_semi")
-        chosen = wanted.select(F.col("least").alias("_least")).distinct()
+        chosen = sets.join(members.select("sid").distinct(), "sid", "left_semi").select(F.col("at.doc_id").alias("at_id"), F.col("at.tag").alias("at_tag")).distinct()
 
         @tidied
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 for _, _, buf, offs in text_slices(batch.column(0)):
-                    found = [x for x in token_sets(buf, offs, k, levels.value) if len(x)]
-                    if found:
-                        yield pa.RecordBatch.from_arrays([pa.array([set_id(x) for x in found], pa.binary()), pa.array([x.tobytes() for x in found], pa.binary())], ["sid", "tokens"])
+                    found, names = token_sets(buf, offs, k, levels.value)
+                    rows = [(x, s) for x, s in zip(found, names, strict=True) if s is not None]
+                    if rows:
+                        yield pa.RecordBatch.from_arrays([pa.array([s for _, s in rows], pa.binary()), pa.array([x.tobytes() for x, _ in rows], pa.binary())], ["sid", "tokens"])
 
-        texts = self.docs.join(chosen, F.col("doc_id").eqNullSafe(F.col("_least")), "left_semi").select("text")
-        return materialize(texts.mapInArrow(run, "sid binary, tokens binary").dropDuplicates(["sid"]), "join-full")
+        texts = self.docs.join(chosen, F.col("doc_id").eqNullSafe(F.col("at_id")) & (F.col("tag") == F.col("at_tag")), "left_semi").select("text")
+        return self._table(texts.mapInArrow(run, "sid binary, tokens binary").dropDuplicates(["sid"]), "join-full")
 
     def _verify(self, pairs: DataFrame, full: DataFrame) -> DataFrame:
         """Pairs (a, b) whose sets link."""
@@ -278,7 +312,7 @@ class Join:
         ends = members.groupBy("group").agg(F.min("root").alias("root_min"), F.max("root").alias("root_max"))
         met = surviving.filter(F.col("group") > F.col("mine")).join(members.select("sid", "root"), "sid").join(ends, "group")
         met = met.filter(~((F.col("root_min") == F.col("root")) & (F.col("root_max") == F.col("root"))))
-        met = materialize(met.select("sid", "group").distinct(), "join-met-groups")
+        met = self._table(met.select("sid", "group").distinct(), "join-met-groups")
         if met.isEmpty():
             return own
         unions = self._unions(members.join(met.select("group").distinct(), "group", "left_semi"), full)
@@ -304,7 +338,7 @@ class Join:
 
         schema = "group long, tokens binary"
         parts = members.join(full, "sid").select("group", "tokens").mapInArrow(run, schema)
-        return materialize(parts.groupBy("group").applyInArrow(merge, schema), "join-unions")
+        return self._table(parts.groupBy("group").applyInArrow(merge, schema), "join-unions")
 
     def _bound(self, met: DataFrame, unions: DataFrame, full: DataFrame) -> DataFrame:
         percent = self.percent
@@ -342,12 +376,12 @@ class Join:
         return q.select(columns).groupBy("group", "qb", "mb").cogroup(m.select(columns).groupBy("group", "qb", "mb")).applyInArrow(compare, "a binary, b binary").distinct()
 
 
-def set_id(tokens: np.ndarray) -> bytes:
-    """128 bits of a set, whatever the order; empty sets have no id."""
+def set_id(tokens: np.ndarray, second: np.ndarray) -> bytes | None:
+    """128 bits of a set from both hashes of its shingles, whatever the order; empty sets have none."""
     if not len(tokens):
         return None
-    with np.errstate(over="ignore"):
-        return np.array([mix64(tokens, 1).sum(dtype=U64), mix64(tokens, 2).sum(dtype=U64)], "<u8").tobytes()
+    both = second ^ mix64(tokens, 1)
+    return np.array([mix64(both, 2).sum(dtype=U64), mix64(second, 3).sum(dtype=U64)], "<u8").tobytes()
 
 
 def overlap(p: np.ndarray, q: np.ndarray) -> int:
@@ -399,9 +433,14 @@ def join(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str = "doc_id",
 
 def kept_rows(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of `docs` that name their component, and those without one: one of each group."""
-    found = join(docs, k, percent, id_col, text_col)
-    # A row names its component if its id is the component's; of rows that repeat it, one stays.
-    keep = found.filter((F.col("component_id") == F.col("doc_id")) | F.col("component_id").isNull())
-    keep = materialize(keep.select(F.col("doc_id").alias("_k_id")).distinct(), "join-kept")
-    return docs.join(keep, F.col(id_col).cast("long").eqNullSafe(F.col("_k_id")), "left_semi")
-
+    rows, named = Join(docs, k, percent, id_col, text_col).rows()
+    same = rows.filter("n > 0").groupBy("sid", "doc_id", "tag").agg(F.count("*").alias("times")).join(named, "sid")
+    # Of a component, the row with the least id (null last), then text; of equal rows, one.
+    best = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "tag", "times"))
+    keep = same.groupBy("root").agg(best.alias("best")).select("best.doc_id", "best.tag", "best.times")
+    alone = rows.filter("n = 0").select("doc_id", "tag").distinct().withColumn("times", F.lit(1).cast("long"))
+    keep = materialize(keep.unionByName(alone).select(*[F.col(c).alias(f"keep_{c}") for c in ("doc_id", "tag", "times")]), "join-kept")
+    own = docs.select(whole_row(), F.col(id_col).cast("long").alias("doc_id"), text_tag(F.col(text_col)).alias("tag"))
+    stay = own.join(keep, F.col("doc_id").eqNullSafe(F.col("keep_doc_id")) & (F.col("tag") == F.col("keep_tag")))
+    once = stay.filter("keep_times = 1").select("row")
+    return once.unionByName(stay.filter("keep_times > 1").dropDuplicates(["doc_id", "tag"]).select("row")).select("row.*")

@@ -5,9 +5,12 @@ random field with two labels (boilerplate 0, content 1) is decoded by Viterbi; t
 of word characters in content lines decides whether the document stays.
 
 The field is trained here, on a bounded sample of labelled documents (`train_rows`
-documents with the smallest hash of their id): every line carries its document's quality,
-and weights follow the gradient of the conditional likelihood.  Where there are no labels
-of both classes, `PRIOR` is used.
+documents with the smallest hash of their id).  Labels are of documents, those of lines
+are latent: lines start with their document's quality, then rounds of a line model without
+transitions move lines that look like the other class over to it, as long as half of a
+document's lines keep its own label.  The field's weights and transitions follow the
+gradient of the conditional likelihood of the labels reached, so a good document may hold
+boilerplate and a bad one content.  Without labels of both classes `PRIOR` is used.
 
 Defined cases: null text has no words; a document without words has no lines and share 0;
 ties between labels go to content; repeated rows are judged alike; an empty table gives
@@ -24,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from subvote.llm._text import U64, Words, mix64, span_hashes, text_slices
+from subvote.llm._text import U64, Words, mix64, roll, span_hashes, text_slices
 from subvote.llm._worker import tidied
 
 FEATURES = ("bias", "symbols", "pipes", "exclaims", "capitals", "digits", "repeats", "seen", "short", "stop", "long_words")
@@ -62,7 +65,8 @@ def read_lines(buf: np.ndarray, offs: np.ndarray) -> Lines:
     per_doc = lambda sums: sums[words.first[1:]] - sums[words.first[:-1]]
 
     # Words of windows of three that occur again in their document.
-    at, window = words.windows(3)
+    at = words.windows(3)
+    window = roll(words.hashes, 3, 0)[at] if len(at) else np.empty(0, U64)
     key = mix64(window ^ mix64(words.doc[at].astype(U64), 5))
     _, back, times = np.unique(key, return_inverse=True, return_counts=True)
     cover = np.zeros(len(words.starts) + 1, np.int64)
@@ -152,17 +156,51 @@ def decode(field: Field, lines: Lines, n: int) -> np.ndarray:
     return label
 
 
-def train(lines: Lines, quality: np.ndarray, rounds: int = 150, rate: float = 0.3, ridge: float = 1e-3) -> Field:
-    """Maximise the conditional likelihood of line labels by gradient steps with momentum."""
-    n = len(quality)
+def line_labels(lines: Lines, quality: np.ndarray, rounds: int = 4) -> np.ndarray:
+    """Latent labels of lines from labels of documents: a line moves to the class it looks like.
+
+    Of every document, the half of its lines that fit its own label best keep it.
+    """
+    n, own = len(quality), quality[lines.doc].astype(float)
+    count = np.bincount(lines.doc, minlength=n)
+    first = np.cumsum(count) - count
+    y = own
+    for _ in range(rounds):
+        share = np.array([max(1.0, (y == 0).sum()), max(1.0, (y == 1).sum())])
+        weight = (len(y) / (2 * share))[y.astype(int)]
+        score = lines.features @ _line_model(lines.features, y, weight)
+        # Rank of a line in its document, those that fit the document's label best first.
+        order = np.lexsort((np.where(own == 1, -score, score), lines.doc))
+        rank = np.empty(len(y), np.int64)
+        rank[order] = np.arange(len(y)) - first[lines.doc[order]]
+        held = rank < (count[lines.doc] + 1) // 2
+        moved = np.where(held, own, (score > 0).astype(float))
+        if (moved == y).all():
+            break
+        y = moved
+    return y.astype(np.int8)
+
+
+def _line_model(x: np.ndarray, y: np.ndarray, weight: np.ndarray, rounds: int = 200, rate: float = 0.5, ridge: float = 1e-4) -> np.ndarray:
+    """Logistic regression by gradient steps with momentum."""
+    out, speed, size = np.zeros(x.shape[1]), np.zeros(x.shape[1]), max(len(y), 1)
+    for _ in range(rounds):
+        p = 1 / (1 + np.exp(-np.clip(x @ out, -30, 30)))
+        speed = 0.9 * speed + x.T @ (weight * (y - p)) / size - ridge * out
+        out = out + rate * speed
+    return out
+
+
+def train(lines: Lines, labels: np.ndarray, n: int, rounds: int = 300, rate: float = 0.5, ridge: float = 1e-4) -> Field:
+    """Maximise the conditional likelihood of the labels of lines in n documents."""
     first, count, steps = _steps(lines.doc, n)
-    y = quality[lines.doc].astype(float)
+    y = labels.astype(float)
     weights, moves = np.zeros(lines.features.shape[1]), np.zeros((2, 2))
     speed_w, speed_m = np.zeros_like(weights), np.zeros_like(moves)
-    # Label pairs seen: labels are constant within a document.
+    # Pairs of labels on neighbouring lines of a document.
+    beside = lines.doc[1:] == lines.doc[:-1]
     pairs = np.zeros((2, 2))
-    for q in (0, 1):
-        pairs[q, q] = np.maximum(count[quality == q] - 1, 0).sum()
+    np.add.at(pairs, (labels[:-1][beside].astype(int), labels[1:][beside].astype(int)), 1)
     size = max(len(y), 1)
     for _ in range(rounds):
         score = lines.features @ weights
@@ -198,14 +236,14 @@ def fit(docs: DataFrame, labels: DataFrame, train_rows: int = 2000, id_col: str
     spark = docs.sparkSession
     sample = (
         labels.filter(F.col("quality").isNotNull() & F.col(id_col).isNotNull())
-        .select(F.col(id_col).alias("_l_id"), F.col("quality").cast("int").alias("_quality"))
-        .orderBy(F.xxhash64("_l_id"), "_l_id")
+        .select(F.col(id_col).cast("long").alias("id"), F.col("quality").cast("int").alias("quality"))
+        .orderBy(F.xxhash64("id"), "id", "quality")
         .limit(train_rows)
         .collect()
     )
-    if len({r["_quality"] for r in sample}) < 2:
+    if len({r["quality"] > 0 for r in sample}) < 2:
         return PRIOR
-    chosen = spark.createDataFrame(sample, "_l_id long, _quality int").dropDuplicates(["_l_id"])
+    chosen = spark.createDataFrame(sample, "k_id long, quality int").dropDuplicates(["k_id"])
 
     @tidied
     def lines_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -216,15 +254,17 @@ def fit(docs: DataFrame, labels: DataFrame, train_rows: int = 2000, id_col: str
                 rows = [x.tobytes() for x in np.split(lines.features, np.cumsum(count)[:-1])]
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), pa.array(rows, pa.binary())], ["quality", "rows"])
 
-    found = docs.join(F.broadcast(chosen), docs[id_col] == F.col("_l_id")).select("_quality", text_col)
+    own = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
+    found = own.join(F.broadcast(chosen), F.col("id") == F.col("k_id")).select("quality", "text")  # train_rows rows
     got = found.mapInArrow(lines_of, "quality int, rows binary").collect()
     got = sorted(((r["quality"], bytes(r["rows"])) for r in got))  # the same order in every run
-    if len({q for q, _ in got}) < 2:
+    if len({q > 0 for q, _ in got}) < 2:
         return PRIOR
     blocks = [np.frombuffer(rows).reshape(-1, len(FEATURES)) for _, rows in got]
     doc = np.repeat(np.arange(len(got)), [len(b) for b in blocks])
     features = np.concatenate(blocks)
-    return train(Lines(doc, features, np.zeros(len(features)), {}), np.array([int(q > 0) for q, _ in got]))
+    lines, quality = Lines(doc, features, np.zeros(len(features)), {}), np.array([int(q > 0) for q, _ in got])
+    return train(lines, line_labels(lines, quality), len(got))
 
 
 COLUMNS = "n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, kept boolean, content_share double"

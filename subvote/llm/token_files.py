@@ -8,14 +8,15 @@ A shard file is
                            compressed size, size and checksum (low 32 bits of xxh64 of
                            the decompressed bytes), then frame count, flags and magic
 
-so any zstd tool can read the whole file and a reader that wants some documents fetches
-the footer, the directory and only their frames.
+so any zstd tool can read the whole file and a reader that wants some documents
+(`fetch_documents`) reads the footer, the directory and only their frames.
 
 Shards hold ranges of ascending ids.  A task writes its shard under a name of its own
 attempt and then renames it, so lost executors and second attempts leave whole files.
 
 Defined cases: null text is empty and encodes to the end id alone; null ids come first;
-rows that repeat an id are ordered by text; an empty table writes no shard; other
+rows that repeat an id (or have none) are ordered by the digest of their text and may lie
+in several shards; an empty table writes no shard; other
 columns are ignored.
 """
 
@@ -35,7 +36,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from subvote.llm._store import materialize, new_path
+from subvote.llm._store import delete, list_names, materialize, new_path, text_tag
 from subvote.llm._tokens import id_encoder
 from subvote.llm._worker import tidied
 
@@ -111,7 +112,7 @@ def write_token_files(
 ) -> DataFrame:
     """Encode and write all documents; the manifest has a row per shard.
 
-    shard (in id order), path, n_docs, n_tokens, bytes.
+    shard (in id order), path, n_docs, n_tokens, bytes, min_id, max_id.
     """
     folder = folder or new_path(docs.sparkSession, "token-files")
 
@@ -138,14 +139,19 @@ def write_token_files(
         size = out.tell()
         out.close()
         path = f"{root}/shard-{shard:06d}.zst"
+        known = [i for i in writer.ids if i is not None]
         fs.move(mine, path)
-        yield pa.RecordBatch.from_pydict({"shard": [shard], "path": [path], "n_docs": [len(writer.ids)], "n_tokens": [n_tokens], "bytes": [size]})
+        yield pa.RecordBatch.from_pydict({"shard": [shard], "path": [path], "n_docs": [len(writer.ids)], "n_tokens": [n_tokens], "bytes": [size], "min_id": pa.array([known[0] if known else None], pa.int64()), "max_id": pa.array([known[-1] if known else None], pa.int64())})
 
-    ranged = docs.select(id_col, text_col).repartitionByRange(F.col(id_col).asc_nulls_first())
-    ranged = ranged.sortWithinPartitions(F.col(id_col).asc_nulls_first(), F.col(text_col).asc_nulls_first())
-    manifest = ranged.mapInArrow(write, "shard long, path string, n_docs long, n_tokens long, bytes long")
+    order = [F.col(c).asc_nulls_first() for c in ("id", "tag")]
+    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"), text_tag(F.col(text_col)).alias("tag"))
+    ranged = rows.repartitionByRange(*order).sortWithinPartitions(*order).select("id", "text")
+    manifest = ranged.mapInArrow(write, "shard long, path string, n_docs long, n_tokens long, bytes long, min_id long, max_id long")
     out = materialize(manifest, "token-manifest")
     out._subvote_folder = folder
+    for name in list_names(docs.sparkSession, folder):  # of attempts that were lost
+        if name.startswith(".attempt-"):
+            delete(docs.sparkSession, f"{folder}/{name}")
     return out
 
 
@@ -177,3 +183,43 @@ def read_token_files(manifest: DataFrame, folder: str) -> DataFrame:
                         )
 
     return shards.mapInArrow(read, "doc_id long, start long, n_tokens long, ids_crc32 long")
+
+
+def fetch_documents(manifest: DataFrame, folder: str, wanted: DataFrame, id_col: str = "doc_id") -> DataFrame:
+    """(doc_id, ids) of the documents asked for; of the shards' frames, only theirs are read.
+
+    Shards whose range of ids holds none of the wanted ones are not opened.  The others give
+    their directories (8 bytes a document), which are joined with the wanted ids, and every
+    (shard, run of frames) that is left is read by itself.  Ids that are not there give no
+    row, repeated ids give all their documents, a null id asks for nothing.
+    """
+    wanted = wanted.select(F.col(id_col).cast("long").alias("doc_id")).filter("doc_id is not null").distinct()
+    ends = wanted.agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi"))
+    shards = manifest.crossJoin(F.broadcast(ends)).filter("max_id >= lo and min_id <= hi").select("path", "bytes")  # one row of ends
+
+    @tidied
+    def listed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        fs, _ = _filesystem(folder)
+        for batch in batches:
+            for row in batch.to_pylist():
+                with fs.open_input_file(row["path"]) as source:
+                    ids = ShardReader(source, row["bytes"]).doc_ids
+                for lo in range(0, len(ids), 65536):
+                    part = ids[lo : lo + 65536]
+                    same = [pa.array([row[c]] * len(part)) for c in ("path", "bytes")]
+                    yield pa.RecordBatch.from_arrays([*same, pa.array(range(lo, lo + len(part)), pa.int64()), pa.array(part, pa.int64())], ["path", "bytes", "frame", "doc_id"])
+
+    @tidied
+    def fetch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        fs, _ = _filesystem(folder)
+        for batch in batches:
+            for row in batch.to_pylist():
+                with fs.open_input_file(row["path"]) as source:
+                    reader = ShardReader(source, row["bytes"])
+                    for k in sorted(row["frames"]):
+                        ids = reader.ids(k).astype(np.int64)
+                        yield pa.RecordBatch.from_arrays([pa.array([reader.doc_ids[k]], pa.int64()), pa.array([ids], pa.list_(pa.int64()))], ["doc_id", "ids"])
+
+    places = shards.repartition("path").mapInArrow(listed, "path string, bytes long, frame long, doc_id long")
+    places = places.join(wanted, "doc_id").withColumn("run", F.floor(F.col("frame") / 4096))
+    return places.groupBy("path", "bytes", "run").agg(F.collect_list("frame").alias("frames")).mapInArrow(fetch, "doc_id long, ids array<long>")

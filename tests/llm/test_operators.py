@@ -200,7 +200,7 @@ def test_training_separates(spark):
     doc = np.repeat(np.arange(40), 3)
     quality = np.arange(40) % 2
     x = np.stack([np.ones(120), np.repeat(quality, 3) * 2.0 - 1 + np.random.default_rng(0).normal(0, 0.3, 120)], axis=1)
-    field = quality_rules.train(quality_rules.Lines(doc, x, np.ones(120), {}), quality)
+    field = quality_rules.train(quality_rules.Lines(doc, x, np.ones(120), {}), np.repeat(quality, 3), 40)
     label = quality_rules.decode(field, quality_rules.Lines(doc, x, np.ones(120), {}), 40)
     assert (label == np.repeat(quality, 3)).mean() > 0.97
 
@@ -414,17 +414,16 @@ def test_substring_dedup_of_repeats_and_odd_rows(spark, odd):
 
 
 def test_index_compaction(spark, sf):
-    df = documents(spark, sf).select("doc_id", "text")
+    df = substring_dedup.keyed(documents(spark, sf))
     index = substring_dedup.FingerprintIndex(spark, fan_out=2)
     for i in range(4):
-        index.add(df.filter(F.col("doc_id") % 4 == i))
-    assert len(index.runs) <= 2
+        index.add(df.filter(F.col("doc_id") % 4 == i), df.filter(F.col("doc_id") % 4 < i))
+    assert len(index.marks) <= 2 and index.compactions == 1
     total = index.occurrences(df).groupBy("mark").count()
-    held = index.runs[0]
-    for run in index.runs[1:]:
-        held = held.union(run)
+    held = spark.read.schema(index.marks[0].schema).parquet(*[run._subvote_path for run in index.marks])
     held = held.groupBy("mark").agg(F.sum("times").alias("count"))
     assert held.exceptAll(total).count() == 0 and total.exceptAll(held).count() == 0
+    index.drop()
 
 
 def test_words_are_the_contract(docs):
