@@ -1,8 +1,8 @@
 """Mixing sources to target weights by hash-random order and distributed prefix sums.
 
 Every row gets a random key from the md5 of its id, rows are range-sorted by (source,
-key), each task sums its sizes per source, a small prefix over those sums gives every
-task its start, and the running size decides which rows fall within the budget.
+key), each task keeps a running size per source, a small prefix over the tasks' sums gives
+every task its start, and the running size decides which rows fall within the budget.
 
 Defined cases: null text has size 0; a null source is a source of its own, last in
 order; rows of one id (or of none) are ordered by the digest of their text, so that they
@@ -13,12 +13,17 @@ table gives no rows; a source without words has target 0; other columns are igno
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+from collections.abc import Iterator, Sequence
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
 from subvote.llm._store import materialize, text_tag, whole_row
+from subvote.llm._worker import tidied
 
 WORD = "[^\\x20\\x09-\\x0D]+"
 
@@ -81,11 +86,42 @@ def _sized(docs: DataFrame, id_col: str, source_col: str, text_col: str, *more:
     )
 
 
+def _edges(column: pa.Array) -> list[int]:
+    """Rows at which a sorted column takes another value, the first row included."""
+    if len(column) < 2:
+        return list(range(len(column)))
+    left, right = column.slice(0, len(column) - 1), column.slice(1)
+    same = pc.or_(pc.fill_null(pc.equal(left, right), False), pc.and_(pc.is_null(left), pc.is_null(right)))
+    return [0, *(np.flatnonzero(~same.to_numpy(zero_copy_only=False)) + 1).tolist()]
+
+
 def _plan(rows: DataFrame, weights: Sequence[float], share: float, max_epochs: float) -> DataFrame:
     """Adds source_size, target, taken to sized rows."""
     # Ranges are cut by (source, key, text); sources and ids with many rows span many tasks.
-    dealt = rows.repartitionByRange("_none", "source", "_key", "_tag").withColumn("_part", F.spark_partition_id())
-    dealt = materialize(dealt, "mix-rows")
+    order = ("_none", "source", "_key", "_tag")
+    ranged = rows.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("_part", F.spark_partition_id())
+    schema = StructType([*ranged.schema.fields, StructField("_before", LongType())])
+    source, size = ranged.columns.index("source"), ranged.columns.index("size")
+
+    @tidied
+    def running(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Adds the size of all rows of the same source that come before in the task."""
+        name, total = None, 0
+        for batch in batches:
+            if not len(batch):
+                continue
+            found, sizes = batch.column(source), batch.column(size).to_numpy()
+            ends = np.cumsum(sizes)
+            edges = _edges(found)
+            before = ends - sizes
+            for lo, hi in zip(edges, [*edges[1:], len(batch)], strict=True):
+                here = found[lo].as_py()
+                total = total if lo == 0 and here == name else 0
+                before[lo:hi] += total - before[lo]
+                name, total = here, int(before[hi - 1] + sizes[hi - 1])
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(before)], schema.names)
+
+    dealt = materialize(ranged.mapInArrow(running, schema), "mix-rows")
     sums = dealt.groupBy("source", "_part").agg(F.sum("size").alias("_sum"))
     sums = materialize(sums.coalesce(1), "mix-sums")
     goal = targets(sums.groupBy("source").agg(F.sum("_sum").alias("source_size")), weights, share, max_epochs)
@@ -95,9 +131,7 @@ def _plan(rows: DataFrame, weights: Sequence[float], share: float, max_epochs: f
     ).select(F.col("source").alias("_s"), F.col("_part").alias("_p"), "_start")
     goal = goal.withColumnRenamed("source", "_g")
     plan = starts.join(goal, F.col("_s").eqNullSafe(F.col("_g"))).drop("_g")
-    inside = Window.partitionBy("_part", "source").orderBy("_key", "_tag").rowsBetween(Window.unboundedPreceding, -1)
-    out = dealt.withColumn("_before", F.coalesce(F.sum("size").over(inside), F.lit(0)))
-    out = out.join(plan, F.col("source").eqNullSafe(F.col("_s")) & (F.col("_part") == F.col("_p")))
+    out = dealt.join(plan, F.col("source").eqNullSafe(F.col("_s")) & (F.col("_part") == F.col("_p")))
     goal_words = F.floor(F.col("target")).cast("long")
     epochs = F.when(F.col("source_size") > 0, F.floor(goal_words / F.col("source_size"))).otherwise(0).cast("long")
     left = goal_words - epochs * F.col("source_size")
