@@ -100,11 +100,56 @@ def ranked_cells(left: np.ndarray, right: np.ndarray, most: int) -> tuple[np.nda
     return np.take_along_axis(lo, at // k, 1) * k + np.take_along_axis(ro, at % k, 1), certain
 
 
-def activate_all(x: np.ndarray, layout: Layout, books: Codebooks, counts: np.ndarray, limit: int, chunk: int = 1024) -> list[list[np.ndarray]]:
+#: Cells of the grids that are laid out at once, about 64 MB of costs.
+GRID = 8_000_000
+
+
+def activate_all(x: np.ndarray, layout: Layout, books: Codebooks, counts: np.ndarray, limit: int, chunk: int | None = None) -> list[list[np.ndarray]]:
     """Activated cells per query and subspace, in rank order; counts is M x K*K over all shards."""
+    chunk = chunk or max(1, min(1024, GRID // max(counts.shape[1], 1)))
     return [row for lo in range(0, len(x), chunk) for row in _activate_chunk(x[lo : lo + chunk], layout, books, counts, limit)]
 
 
+def last_cell(left: np.ndarray, right: np.ndarray, cell: int) -> tuple[float, int, int]:
+    """Place of a cell in the visiting order: cost, left rank, right rank."""
+    i, j = divmod(int(cell), len(right))
+    rank = lambda d, c: int((d < d[c]).sum() + (d[:c] == d[c]).sum())
+    return round(float(left[i] + right[j]), 9), rank(left, i), rank(right, j)
+
+
+def edges(x: np.ndarray, layout: Layout, books: Codebooks, counts: np.ndarray, limit: int, rank_cut: int) -> np.ndarray:
+    """queries x M x 6: places of the last activated cell and of the last of the first `rank_cut`.
+
+    A query's activation is all cells up to a place in the visiting order, so two places say
+    which cells vote and with what weight, whatever the size of the grid.
+    """
+    out = np.full((len(x), layout.m, 6), -1.0)
+    step = max(1, min(1024, GRID // max(counts.shape[1], 1)))
+    for lo in range(0, len(x), step):
+        part = x[lo : lo + step]
+        half = half_matrix(part, layout, books)
+        for q, row in enumerate(_activate_chunk(part, layout, books, counts, limit)):
+            for m, cells in enumerate(row):
+                left, right = half[2 * m][q], half[2 * m + 1][q]
+                out[lo + q, m, :3] = last_cell(left, right, cells[-1])
+                if rank_cut:
+                    out[lo + q, m, 3:] = last_cell(left, right, cells[min(rank_cut, len(cells)) - 1])
+    return out
+
+
+def up_to(cells: np.ndarray, left: np.ndarray, right: np.ndarray, edge: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Which of some cells lie up to both places of `edge`."""
+    k = len(right)
+    i, j = cells // k, cells % k
+    cost = np.round(left[i] + right[j], 9)
+    orders = [np.empty(len(d), np.int64) for d in (left, right)]
+    for d, o in zip((left, right), orders, strict=True):
+        o[np.argsort(d, kind="stable")] = np.arange(len(d))
+    lr, rr = orders[0][i], orders[1][j]
+    before = lambda e: (cost < e[0]) | ((cost == e[0]) & ((lr < e[1]) | ((lr == e[1]) & (rr <= e[2]))))
+    return before(edge[:3]), before(edge[3:])
+
+
 def _activate_chunk(x: np.ndarray, layout: Layout, books: Codebooks, counts: np.ndarray, limit: int) -> list[list[np.ndarray]]:
     """Vectorised over the queries: a first share of the grid is sorted, and only queries that
     do not reach the budget in it get a full order.

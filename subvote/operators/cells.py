@@ -81,6 +81,30 @@ def csr(cells: np.ndarray, k2: int) -> tuple[np.ndarray, np.ndarray]:
     return starts, order
 
 
+def sparse_csr(cells: np.ndarray) -> tuple[list[np.ndarray], list[np.ndarray], np.ndarray]:
+    """(occupied cells, where each begins and all end, order M x n): as `csr`, without empty cells."""
+    n, m = cells.shape
+    occupied, starts, order = [], [], np.empty((m, n), np.int32)
+    for j in range(m):
+        order[j] = np.argsort(cells[:, j], kind="stable")
+        found, first = np.unique(cells[order[j], j], return_index=True)
+        occupied.append(found.astype(np.int32))
+        starts.append(np.append(first, n).astype(np.int32))
+    return occupied, starts, order
+
+
+def pack_ragged(arrays: list[np.ndarray]) -> bytes:
+    """Arrays of 32-bit integers as one: how many, their lengths, their values."""
+    head = np.array([len(arrays), *(len(a) for a in arrays)], "<i4")
+    return b"".join([head.tobytes(), *(a.astype("<i4").tobytes() for a in arrays)])
+
+
+def read_ragged(raw: bytes) -> list[np.ndarray]:
+    whole = np.frombuffer(raw, "<i4")
+    sizes = whole[1 : 1 + whole[0]]
+    return np.split(whole[1 + whole[0] :], np.cumsum(sizes)[:-1])
+
+
 def build_postings(codes: DataFrame, k: int, n_shards: int) -> DataFrame:
     """(shard, subspace, offsets, ids): contiguous posting arrays of every shard."""
 

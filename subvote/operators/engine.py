@@ -26,7 +26,9 @@ from subvote.operators.exact import collect_queries
 from subvote.operators.subspaces import Layout, uniform_layout
 
 SHARD = "shard int, n long, ids binary, vectors binary, words binary, offsets binary, rows binary"
-FORMAT = 1
+FORMAT = 2
+#: Above this many bytes of activated cells, a search broadcasts their last places instead.
+ACTIVE_BYTES = 64 << 20
 
 
 @dataclass(frozen=True)
@@ -141,10 +143,10 @@ def lay_out(df: DataFrame, layout: Layout, books: codebooks.Codebooks, k: int, n
         order = np.argsort(ids, kind="stable")
         x = matrix(part.column("vec"))[order].astype(np.float64)
         x = x @ r if r is not None else rotation.hadamard(x, signs) if signs is not None else x
-        offsets, rows = cells.csr(cells.cells_of(x, layout, books), k * k)
-        values = [ids[order].astype("<i8"), x.astype(f"<{storage}"), sign_words(x), offsets.astype("<i4"), rows.astype("<i4")]
+        occupied, starts, rows = cells.sparse_csr(cells.cells_of(x, layout, books))
+        values = [ids[order].astype("<i8").tobytes(), x.astype(f"<{storage}").tobytes(), sign_words(x).tobytes(), cells.pack_ragged([*occupied, *starts]), rows.astype("<i4").tobytes()]
         columns = [pa.array([part.column("shard")[0].as_py()], pa.int32()), pa.array([len(ids)], pa.int64())]
-        return pa.table([*columns, *[pa.array([v.tobytes()], pa.binary()) for v in values]], names)
+        return pa.table([*columns, *[pa.array([v], pa.binary()) for v in values]], names)
 
     return df.select("id", "vec").withColumn("shard", shard_of(n_shards)).groupBy("shard").applyInArrow(pack, SHARD)
 
@@ -156,7 +158,9 @@ def count_cells(shards: DataFrame, m: int, k2: int) -> np.ndarray:
         total = np.zeros((m, k2), np.int64)
         for batch in batches:
             for raw in batch.column(0):
-                total += np.diff(np.frombuffer(raw.as_buffer(), "<i4").reshape(m, k2 + 1), axis=1)
+                parts = cells.read_ragged(raw.as_buffer())
+                for j in range(m):
+                    total[j, parts[j]] += np.diff(parts[m + j])
         yield pa.RecordBatch.from_pydict({"counts": pa.array([total.tobytes()], pa.binary())})
 
     def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -170,26 +174,56 @@ def count_cells(shards: DataFrame, m: int, k2: int) -> np.ndarray:
     return sum((np.frombuffer(bytes(r["counts"]), np.int64).reshape(m, k2) for r in parts.collect()), np.zeros((m, k2), np.int64))
 
 
-def _read(row: dict, dim: int, words: int, m: int, k2: int, storage: str):
+def _read(row: dict, dim: int, words: int, m: int, storage: str):
     n = row["n"]
     return (
         np.frombuffer(row["ids"], "<i8"), np.frombuffer(row["vectors"], f"<{storage}").reshape(n, dim), np.frombuffer(row["words"], "<i8").reshape(n, words),
-        np.frombuffer(row["offsets"], "<i4").reshape(m, k2 + 1), np.frombuffer(row["rows"], "<i4").reshape(m, n),
+        cells.read_ragged(row["offsets"]), np.frombuffer(row["rows"], "<i4").reshape(m, n),
     )
 
 
-def shard_votes(offsets: np.ndarray, rows: np.ndarray, active: list[np.ndarray], n: int, rank_cut: int) -> np.ndarray:
-    """Votes of one query over a shard: contiguous segments of the activated cells."""
-    score = np.zeros(n, np.int32)
-    for m, activated in enumerate(active):
-        lo, hi = offsets[m, activated], offsets[m, activated + 1]
-        size = hi - lo
-        at = np.repeat(lo - (np.cumsum(size) - size), size) + np.arange(int(size.sum()))
-        weight = np.repeat(np.where(np.arange(len(activated)) < rank_cut, 2, 1), size)
-        score[rows[m, at]] += weight.astype(np.int32)
+def shard_votes(offsets: list[np.ndarray], rows: np.ndarray, active: list[np.ndarray] | None, n: int, rank_cut: int, half: list[np.ndarray] | None = None, edge: np.ndarray | None = None) -> np.ndarray:
+    """Votes of one query over a shard: contiguous segments of the activated cells.
+
+    Cells come as a list in rank order, or as the places `edge` of the last ones, against
+    which the occupied cells of the shard are held.
+    """
+    score, parts = np.zeros(n, np.int32), len(rows)
+    for m in range(parts):
+        occupied, starts = offsets[m], offsets[parts + m]
+        if active is not None:
+            at = np.minimum(np.searchsorted(occupied, active[m]), len(occupied) - 1)
+            here = np.flatnonzero(occupied[at] == active[m])
+            at, weight = at[here], np.where(here < rank_cut, 2, 1)
+        else:
+            inside, heavy = activation.up_to(occupied, half[2 * m], half[2 * m + 1], edge[m])
+            at = np.flatnonzero(inside)
+            weight = np.where(heavy[at], 2, 1)
+        lo, size = starts[at], starts[at + 1] - starts[at]
+        places = np.repeat(lo - (np.cumsum(size) - size), size) + np.arange(int(size.sum()))
+        score[rows[m, places]] += np.repeat(weight, size).astype(np.int32)
     return score
 
 
+def place_edges(index: AnnIndex, q: np.ndarray, limit: int, rank_cut: int) -> np.ndarray:
+    """`activation.edges` of a batch of queries, worked out on the executors."""
+    shared = index.spark.sparkContext.broadcast((index.layout, index.books, index.counts))
+    m, dim = index.layout.m, q.shape[1]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        layout, books, counts = shared.value
+        for batch in batches:
+            for i, raw in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                found = activation.edges(np.frombuffer(raw.as_buffer()).reshape(-1, dim), layout, books, counts, limit, rank_cut)
+                yield pa.RecordBatch.from_pydict({"first": pa.array([i], pa.int64()), "edges": pa.array([found.tobytes()], pa.binary())})
+
+    step = 16
+    rows = [(lo, bytearray(q[lo : lo + step].tobytes())) for lo in range(0, len(q), step)]
+    parts = index.spark.createDataFrame(rows, "first long, queries binary").repartition(max(1, len(rows)), "first").mapInArrow(run, "first long, edges binary").collect()
+    shared.unpersist()
+    return np.concatenate([np.frombuffer(bytes(r["edges"])).reshape(-1, m, 6) for r in sorted(parts, key=lambda r: r["first"])])
+
+
 RESULT = "kind string, query_id long, id long, score int, dist2 double, n long, dims long, started long"
 
 
@@ -206,32 +240,45 @@ def search(index: AnnIndex, queries: DataFrame, k: int, params: SearchParams = S
     optimized = params.mode == "optimized"
     rank_cut = (k if params.rank_cut is None else params.rank_cut) if optimized else 0
     limit = activation.budget(params.ratio, index.n)
-    active = activation.activate_all(q, index.layout, index.books, index.counts, limit)
+    # Small grids: lists of cells, made here.  Else the places of the last ones, from the executors.
+    grid = index.layout.m * index.params.k**2 * len(q)
+    active = edges = None
+    if 4 * grid * min(1.0, params.ratio * 4) <= ACTIVE_BYTES:
+        active = activation.activate_all(q, index.layout, index.books, index.counts, limit)
+    else:
+        edges = place_edges(index, q, limit, rank_cut)
     least = candidates.tau(params.min_fraction, index.layout.m)
-    dim, k2, m, storage = index.layout.dim, index.params.k**2, index.layout.m, index.params.storage
-    shared = index.spark.sparkContext.broadcast((ids, q, sign_words(q), active))
+    dim, m, storage = index.layout.dim, index.layout.m, index.params.storage
+    shared = index.spark.sparkContext.broadcast((ids, q, sign_words(q), active, edges, (index.layout, index.books) if active is None else None))
     patience = None if params.patience_factor is None else math.ceil(params.patience_factor * k)
 
     def nearest(x: np.ndarray, norms: np.ndarray, ids: np.ndarray, q: np.ndarray, narrow: np.ndarray, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(rows, dist2) of the k nearest: all by norms and products, the nearest again in doubles."""
+        """(rows, dist2) of the k nearest: all by norms and products, those within the rounding
+        error of the k-th (copies and near ties among them) again in doubles."""
         if len(rows) > 4 * k:
             rough = norms[rows] - 2 * (x[rows] @ narrow)
-            rows = rows[np.argpartition(rough, 2 * k)[: 2 * k + 1]]
+            kth = np.partition(rough, k - 1)[k - 1]
+            error = 8 * np.sqrt(dim) * np.finfo(x.dtype).eps * float(norms[rows].max() + narrow @ narrow) + 2e-6
+            rows = rows[rough <= kth + error]
         d2 = np.round(((x[rows] - q) ** 2).sum(axis=1), 6)
         top = np.lexsort((ids[rows], d2))[:k]
         return rows[top], d2[top]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, q, qw, active = shared.value
+        ids, q, qw, active, edges, codes = shared.value
         narrow = q.astype(f"<{storage}")
         for batch in batches:
             for row in batch.to_pylist():
-                names, x, words, offsets, order = _read(row, dim, qw.shape[1], m, k2, storage)
+                names, x, words, offsets, order = _read(row, dim, qw.shape[1], m, storage)
                 norms, n = np.einsum("ij,ij->i", x, x), row["n"]
                 found: dict[str, list] = {"near": [], "best": []}
                 count = np.zeros((len(ids), 3), np.int64)  # candidates, dimensions, started
                 for i in range(len(ids)):
-                    score = shard_votes(offsets, order, active[i], n, rank_cut)
+                    if active is not None:
+                        score = shard_votes(offsets, order, active[i], n, rank_cut)
+                    else:
+                        half = [h[0] for h in activation.half_matrix(q[i : i + 1], *codes)]
+                        score = shard_votes(offsets, order, None, n, rank_cut, half, edges[i])
                     passed = np.flatnonzero(score >= least)
                     if optimized:
                         keys = (names[passed], -score[passed])
@@ -383,7 +430,32 @@ def load_index(spark: SparkSession, path: str, expect: IndexParams | None = None
     r = np.array([np.frombuffer(blobs[f"rotation-{i}"]) for i in range(meta["dim"])]) if "rotation-0" in blobs else None
     signs = np.frombuffer(blobs["signs"]) if "signs" in blobs else None
     shards = spark.read.schema(SHARD).parquet(f"{path}/shards")
-    return AnnIndex(spark, params, meta["dim"], meta["n"], layout, books, counts, shards, spectral.SpectralReport(**meta["report"]), r, signs)
+    index = AnnIndex(spark, params, meta["dim"], meta["n"], layout, books, counts, shards, spectral.SpectralReport(**meta["report"]), r, signs)
+    return _with_deltas(index, path)
+
+
+def exists(spark: SparkSession, path: str) -> bool:
+    name = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return name.getFileSystem(spark._jsc.hadoopConfiguration()).exists(name)
+
+
+def append_saved(index: AnnIndex, more: DataFrame, path: str, number: int) -> None:
+    """New vectors as delta shards of batch `number` beside a saved index.
+
+    A batch that runs again overwrites its own delta, so nothing is lost or added twice.
+    """
+    n_shards = max(1, math.ceil(more.count() / index.params.shard_rows))
+    delta = lay_out(more, index.layout, index.books, index.params.k, n_shards, index.matrix, index.signs, index.params.storage)
+    delta.write.mode("overwrite").parquet(f"{path}/deltas/batch={number}")
+
+
+def _with_deltas(index: AnnIndex, path: str) -> AnnIndex:
+    if not exists(index.spark, f"{path}/deltas"):
+        return index
+    deltas = index.spark.read.schema(SHARD).parquet(f"{path}/deltas").drop("batch")
+    n = deltas.agg(F.sum("n")).first()[0] or 0
+    counts = index.counts + count_cells(deltas, index.layout.m, index.params.k**2)
+    return replace(index, n=index.n + n, counts=counts, shards=index.shards.unionByName(deltas))
 
 
 def footprint(index: AnnIndex) -> DataFrame:

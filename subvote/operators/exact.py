@@ -21,11 +21,12 @@ def knn_relational(base: DataFrame, queries: DataFrame, k: int) -> DataFrame:
     return pairs.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k).select("query_id", "rank", "id", "dist2")
 
 
-def collect_queries(queries: DataFrame, limit: int = 100_000) -> tuple[np.ndarray, np.ndarray]:
-    """(ids, matrix) of a query batch on the driver; larger batches are refused."""
-    rows = queries.select("id", "vec").limit(limit + 1).toArrow()
-    if len(rows) > limit:
-        raise ValueError(f"more than {limit} queries in a batch; split it")
+def collect_queries(queries: DataFrame, limit: int = 100_000, most_bytes: int = 1 << 30) -> tuple[np.ndarray, np.ndarray]:
+    """(ids, matrix) of a query batch on the driver; batches of more rows or bytes are refused."""
+    size = queries.agg(F.count("*").alias("n"), F.sum(F.size("vec").cast("long")).alias("values")).first()
+    if size["n"] > limit or 8 * (size["values"] or 0) > most_bytes:
+        raise ValueError(f"more than {limit} queries or {most_bytes} bytes in a batch; split it")
+    rows = queries.select("id", "vec").toArrow()
     rows = rows.sort_by("id")
     return rows.column(0).to_numpy(), matrix(rows.column(1)).astype(np.float64)
 
@@ -39,7 +40,16 @@ def merge(parts: DataFrame, k: int) -> DataFrame:
 def nearest_rows(x: np.ndarray, ids: np.ndarray, q: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(query index, id, dist2) of the k nearest rows per query: expanded form first, exact re-check."""
     approx = (x * x).sum(axis=1)[None] - 2.0 * (q @ x.T)
+    # The rough order may be off by its rounding error: copies and near ties of the k-th go along.
     take = min(len(x), k + 16)
+    if take < len(x):
+        kth = np.partition(approx, k - 1, axis=1)[:, k - 1 : k]
+        slack = 1e-9 * (1.0 + np.abs(kth) + (q * q).sum(axis=1)[:, None]) + 2e-6
+        take = max(take, int((approx <= kth + slack).sum(axis=1).max()))
+        if take > 4 * (k + 16) and len(q) > 1:  # many copies: fewer queries at once
+            half = len(q) // 2
+            parts = [nearest_rows(x, ids, q[:half], k), nearest_rows(x, ids, q[half:], k)]
+            return np.concatenate([parts[0][0], parts[1][0] + half]), *(np.concatenate([a, b]) for a, b in zip(*[p[1:] for p in parts], strict=True))
     some = np.argpartition(approx, take - 1, axis=1)[:, :take] if take < len(x) else np.tile(np.arange(len(x)), (len(q), 1))
     d2 = np.round(((x[some] - q[:, None]) ** 2).sum(axis=2), 6)
     order = np.lexsort((ids[some], d2), axis=1)[:, :k]

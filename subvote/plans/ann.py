@@ -19,6 +19,7 @@ from subvote.functions import vectors as V
 from subvote.operators import activation, candidates, cells, codebooks, exact, graph, learned_pq, lsh, metrics, onebit_ivf, refine, rotation, scoring, spectral, uniform_collision
 from subvote.operators.engine import IndexParams, SearchParams, append, build_index, counters, filtered_knn, footprint, knn_join, load_index, save_index, search, search_filtered, search_relational
 from subvote.operators.subspaces import uniform_layout, variance_layout
+from subvote.session import scratch
 from subvote.sources import vectors as sources
 from subvote.sources.tables import load
 
@@ -338,11 +339,8 @@ def q_engine_append(spark, sf_dir):
 
 def q_index_round_trip(spark, sf_dir):
     """Search after saving and loading the index."""
-    import tempfile
-
-    folder = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="subvote-index-")
     index, _, queries = _index(spark, sf_dir)
-    path = f"{folder}/index-{index.n}"
+    path = scratch(spark, "index")
     save_index(index, path)
     return search(load_index(spark, path, index.params), queries, TOP, GUARANTEED)
 

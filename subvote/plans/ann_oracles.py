@@ -239,12 +239,6 @@ FROM pd a JOIN pd b ON b.id = 0 AND a.j = b.j GROUP BY a.id"""),
         "q_vector_quality": "SELECT 'ok' AS state, count(*) AS n FROM embeddings UNION ALL SELECT unnest(['null', 'length', 'nan', 'infinite']), 1",
         "q_event_vectors": "SELECT user_id AS id, sum(n)::DOUBLE AS total, round(sqrt(sum(n * n)), 6) AS norm FROM (SELECT user_id, hour(ts) AS h, event_type, count(*) AS n FROM events GROUP BY ALL) GROUP BY user_id",
         "q_customer_vectors": "SELECT o_custkey AS id, round(sum(l_extendedprice), 2) AS total FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN part ON l_partkey = p_partkey GROUP BY o_custkey",
-        "q_doc_hash_knn": """WITH tok AS (SELECT doc_id AS id, unnest(regexp_split_to_array(lower(trim(text)), '\\s+')) AS token FROM documents),
-h AS (SELECT id, ('0x' || substr(md5(token), 1, 8))::BIGINT % 64 AS slot, CASE WHEN substr(md5(token), 9, 1) >= '8' THEN -1.0::DOUBLE ELSE 1.0 END AS s FROM tok WHERE token <> ''),
-v AS (SELECT id, slot, sum(s) AS x FROM h GROUP BY id, slot), nv AS (SELECT id, slot, x / sqrt(sum(x * x) OVER (PARTITION BY id)) AS x FROM v WHERE x <> 0),
-dots AS (SELECT a.id AS query_id, b.id, sum(a.x * b.x) AS d FROM nv a JOIN nv b USING (slot) WHERE a.id % 50 = 0 AND b.id % 50 <> 0 GROUP BY a.id, b.id),
-ids AS (SELECT DISTINCT id FROM nv), d AS (SELECT a.id AS query_id, b.id, round(2 - 2 * coalesce(d, 0), 6) AS dist2 FROM ids a JOIN ids b ON a.id % 50 = 0 AND b.id % 50 <> 0 LEFT JOIN dots ON dots.query_id = a.id AND dots.id = b.id)
-SELECT query_id, round(sum(dist2), 4) AS sum_dist2, count(*) AS n FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dist2, id) AS r FROM d) WHERE r <= 3 GROUP BY query_id""",
     }
     lloyd = lambda i: f"""
 e{i} AS (SELECT id, j, x, code FROM (SELECT b.id, b.j, b.x, k.code FROM bd b JOIN (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY id, subspace, half ORDER BY d2, code) AS r FROM (

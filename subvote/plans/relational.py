@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 
 from subvote.functions import udfs
 from subvote.operators import exact
+from subvote.session import scratch
 from subvote.sources import vectors as sources
 from subvote.sources.tables import load, read_any, register, save_bucketed, write_any
 
@@ -38,10 +39,10 @@ def q_filter_lineitem(spark, sf_dir):
     return df.filter(keep & F.col("l_discount").between(0.05, 0.07) & (F.col("l_quantity") < 24)).select("l_orderkey", "l_linenumber", "l_quantity")
 
 
-@query("SELECT p_partkey, p_name, p_brand IN ('Brand#11', 'Brand#12') AS listed, p_type IS NULL AS untyped FROM part WHERE p_name LIKE '%a%' AND regexp_matches(p_name, '[0-9]') AND p_size IS NOT DISTINCT FROM p_size")
+@query("SELECT p_partkey, p_name, p_brand IN ('Brand#11', 'Brand#12') AS listed, p_type IS NULL AS untyped FROM part WHERE p_name LIKE '%a%' AND regexp_matches(p_name, '[a-z] [a-z]') AND p_size IS NOT DISTINCT FROM p_size")
 def q_like_part(spark, sf_dir):
     df = load(spark, sf_dir, "part")
-    keep = F.col("p_name").like("%a%") & F.col("p_name").rlike("[0-9]") & F.col("p_size").eqNullSafe(F.col("p_size"))
+    keep = F.col("p_name").like("%a%") & F.col("p_name").rlike("[a-z] [a-z]") & F.col("p_size").eqNullSafe(F.col("p_size"))
     return df.filter(keep).select("p_partkey", "p_name", F.col("p_brand").isin("Brand#11", "Brand#12").alias("listed"), F.col("p_type").isNull().alias("untyped"))
 
 
@@ -93,10 +94,10 @@ def q_range_join(spark, sf_dir):
     return met.select("event_id", F.col("bin").cast("double").alias("band"))
 
 
-@query("WITH s AS (SELECT user_id, min(ts) AS t FROM events WHERE event_type = 'login' GROUP BY user_id) SELECT e.event_id, s.user_id FROM events e JOIN s ON e.user_id = s.user_id AND e.ts >= s.t AND e.ts <= s.t + INTERVAL 1 HOUR")
+@query("WITH s AS (SELECT user_id, min(ts) AS t FROM events WHERE event_type = 'purchase' GROUP BY user_id) SELECT e.event_id, s.user_id FROM events e JOIN s ON e.user_id = s.user_id AND e.ts >= s.t AND e.ts <= s.t + INTERVAL 1 HOUR")
 def q_interval_join(spark, sf_dir):
     events = load(spark, sf_dir, "events")
-    first = events.filter("event_type = 'login'").groupBy("user_id").agg(F.min("ts").alias("t"))
+    first = events.filter("event_type = 'purchase'").groupBy("user_id").agg(F.min("ts").alias("t"))
     return events.join(first, "user_id").filter((F.col("ts") >= F.col("t")) & (F.col("ts") <= F.col("t") + F.expr("INTERVAL 1 HOUR"))).select("event_id", "user_id")
 
 
@@ -300,9 +301,9 @@ def q_intersect_hits(spark, sf_dir):
     return li.filter("l_returnflag = 'R'").select("l_suppkey").intersect(li.filter("l_returnflag = 'A'").select("l_suppkey"))
 
 
-@query("SELECT p_partkey FROM part EXCEPT SELECT l_partkey FROM lineitem")
+@query("SELECT p_partkey FROM part EXCEPT SELECT l_partkey FROM lineitem WHERE l_quantity > 48")
 def q_except_misses(spark, sf_dir):
-    return load(spark, sf_dir, "part").select("p_partkey").exceptAll(load(spark, sf_dir, "lineitem").select(F.col("l_partkey").alias("p_partkey")).distinct())
+    return load(spark, sf_dir, "part").select("p_partkey").exceptAll(load(spark, sf_dir, "lineitem").filter("l_quantity > 48").select(F.col("l_partkey").alias("p_partkey")).distinct())
 
 
 @query("SELECT min(doc_id) AS doc_id, md5(text) AS digest, count(*) AS copies FROM documents GROUP BY md5(text)")
@@ -374,13 +375,11 @@ def q_decimal_sum(spark, sf_dir):
 @query("SELECT event_type, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY event_type")
 def q_format_round_trip(spark, sf_dir):
     """CSV, JSON and ORC out and in again; the three agree or nothing comes back."""
-    import uuid
-
-    folder = _scratch(spark)
+    folder = scratch(spark, "round")
     schema = "event_id long, event_type string, value double"
     df, out = load(spark, sf_dir, "events").select("event_id", "event_type", "value"), None
     for fmt in ("csv", "json", "orc"):
-        path = f"{folder}/round-{fmt}-{uuid.uuid4().hex}"
+        path = f"{folder}/{fmt}"
         write_any(df, path, fmt, **({"header": "true"} if fmt == "csv" else {}))
         back = read_any(spark, path, fmt, schema if fmt != "orc" else None, **({"header": "true"} if fmt == "csv" else {}))
         sums = back.groupBy("event_type").agg(F.count("*").alias("n"), F.round(F.sum("value"), 4).alias("total"))
@@ -391,25 +390,15 @@ def q_format_round_trip(spark, sf_dir):
 @query("SELECT vec_id AS id, round(sqrt(list_sum(list_transform(embedding, lambda x: x::DOUBLE * x))), 5) AS norm FROM embeddings")
 def q_vector_file_round_trip(spark, sf_dir):
     """Vectors written as length-prefixed float records and read back."""
-    import uuid
-
-    folder = f"{_scratch(spark)}/records-{uuid.uuid4().hex}"
-    df = sources.embeddings(spark, sf_dir).orderBy("id").coalesce(1)
-    rows = df.select("vec").toLocalIterator()
-    content = b"".join(sources.vector_record(r["vec"]) for r in rows)
-    path = spark._jvm.org.apache.hadoop.fs.Path(f"{folder}/part.fvecs")
-    out = path.getFileSystem(spark._jsc.hadoopConfiguration()).create(path)
-    out.write(bytearray(content))
-    out.close()
+    folder = scratch(spark, "records")
+    files = sources.write_vector_files(sources.embeddings(spark, sf_dir), folder, 4)
+    # Ids are places in a file; files hold ranges of ids, so each adds the rows before it.
+    back = sources.read_vector_files(spark, folder, with_path=True)
+    names = files.select(F.element_at(F.split("path", "/"), -1).alias("name"), "first")
+    back = back.withColumn("name", F.element_at(F.split("path", "/"), -1)).join(F.broadcast(names), "name")  # a row per file
     from subvote.functions.vectors import norm
 
-    return sources.read_vector_files(spark, folder).select("id", F.round(norm(F.col("vec")), 5).alias("norm"))
-
-
-def _scratch(spark: SparkSession) -> str:
-    import tempfile
-
-    return spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="subvote-")
+    return back.select((F.col("first") + F.col("id")).alias("id"), F.round(norm(F.col("vec")), 5).alias("norm"))
 
 
 @query("SELECT o_custkey, count(*) AS n, round(sum(l_extendedprice), 2) AS spend FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY o_custkey")
@@ -455,7 +444,7 @@ def q_udtf_traverse(spark, sf_dir):
 
 
 @query("""WITH d AS (SELECT vec_id AS id, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) AS j FROM embeddings),
-m AS (SELECT a.id AS query_id, b.id, round(sum((a.x - b.x) * (a.x - b.x)), 6) AS dist2 FROM d a JOIN d b ON a.j = b.j WHERE a.id % 100 = 0 AND b.id % 10 = 1 GROUP BY a.id, b.id)
+m AS (SELECT a.id AS query_id, b.id, round(sum((a.x - b.x) * (a.x - b.x)), 6) AS dist2 FROM d a JOIN d b ON a.j = b.j WHERE a.id % 100 = 0 GROUP BY a.id, b.id)
 SELECT query_id, rank::INT AS rank, id, dist2 FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dist2, id) AS rank FROM m) WHERE rank <= 3""")
 def q_udtf_knn(spark, sf_dir):
     """k-NN as a table function in a lateral join: k of every block of at most 64 ids, then merged."""

@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import os
+import tempfile
+import uuid
 
 from pyspark.sql import SparkSession
 
@@ -25,3 +27,16 @@ def local_session(cores: int = 8, partitions: int = 8, memory: str = "8g", **mor
     spark = builder.getOrCreate()
     spark.sparkContext.setLogLevel("ERROR")
     return spark
+
+
+def scratch(spark: SparkSession, name: str) -> str:
+    """A new path in the folder of spark.checkpoint.dir, which driver and executors share.
+
+    Where it is unset, a local folder serves a local master only.
+    """
+    given = spark.conf.get("spark.checkpoint.dir", None)
+    if not given:
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("spark.checkpoint.dir must name a folder shared by driver and executors")
+        given = "file://" + tempfile.mkdtemp(prefix="subvote-")
+    return f"{given.rstrip('/')}/{name}-{uuid.uuid4().hex}"

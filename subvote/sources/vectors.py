@@ -3,13 +3,17 @@
 from __future__ import annotations
 
 import struct
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.fs as pafs
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from subvote.operators.arrow import matrix
 from subvote.sources.tables import load
 
 _VEC = "id long, vec array<double>"
@@ -54,11 +58,20 @@ def pages(spark: SparkSession, sf_dir: str, dim: int = 768) -> DataFrame:
     return hashed_text(load(spark, sf_dir, "pages").select("page_id", "html"), "page_id", F.regexp_replace("html", "<[^>]*>", " "), dim)
 
 
+def _values(column: DataFrame, most: int) -> list[str]:
+    """Distinct values in order, one dimension (or more) each; a column with too many is refused."""
+    name = column.columns[0]
+    found = [r[0] for r in column.filter(F.col(name).isNotNull()).distinct().orderBy(name).limit(most + 1).collect()]
+    if len(found) > most:
+        raise ValueError(f"{name} has more than {most} values")
+    return found
+
+
 def event_profiles(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Per user: counts by (hour, event type) in a fixed order, 24 x 5 dimensions."""
     kinds = ["click", "error", "login", "purchase", "view"]
     events = load(spark, sf_dir, "events").select("user_id", F.hour("ts").alias("hour"), "event_type")
-    known = [r[0] for r in events.select("event_type").distinct().orderBy("event_type").limit(64).collect()]
+    known = _values(events.select("event_type"), 64)
     kinds = known or kinds
     slot = F.col("hour") * len(kinds) + F.array_position(F.array(*[F.lit(k) for k in kinds]), F.col("event_type")) - 1
     wide = events.select("user_id", slot.cast("int").alias("slot")).groupBy("user_id").pivot("slot", list(range(24 * len(kinds)))).count()
@@ -69,7 +82,7 @@ def event_profiles(spark: SparkSession, sf_dir: str) -> DataFrame:
 def customer_spend(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Per customer: spend by brand, brands in order."""
     parts = load(spark, sf_dir, "part").select("p_partkey", "p_brand")
-    brands = [r[0] for r in parts.select("p_brand").distinct().orderBy("p_brand").limit(1000).collect()]
+    brands = _values(parts.select("p_brand"), 1000)
     lines = load(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey", "l_extendedprice")
     orders = load(spark, sf_dir, "orders").select("o_orderkey", "o_custkey")
     spend = lines.join(orders, lines.l_orderkey == orders.o_orderkey).join(parts, lines.l_partkey == parts.p_partkey)
@@ -123,7 +136,40 @@ def split(df: DataFrame, every: int = 10) -> tuple[DataFrame, DataFrame]:
     return df.filter(F.col("id") % every != 0), df.filter(F.col("id") % every == 0)
 
 
-def read_vector_files(spark: SparkSession, path: str) -> DataFrame:
+def write_vector_files(df: DataFrame, folder: str, files: int) -> DataFrame:
+    """Write vectors as length-prefixed float records, one file per range of ids.
+
+    Every task streams its own file under a name of its attempt and renames it when whole.
+    Returns (path, first, n) per file: `first` counts the rows of the files before it.
+    """
+
+    def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        fs, root = pafs.FileSystem.from_uri(folder) if ":/" in folder else (pafs.LocalFileSystem(), folder)
+        name, out, n = f"{root}/_{uuid.uuid4().hex}", None, 0
+        for batch in batches:
+            x = matrix(batch.column(1)).astype("<f4") if len(batch) else []
+            if not len(x):
+                continue
+            if out is None:
+                fs.create_dir(root, recursive=True)
+                out = fs.open_output_stream(name)
+            table = np.empty(len(x), np.dtype([("dim", "<i4"), ("x", "<f4", (x.shape[1],))]))
+            table["dim"], table["x"] = x.shape[1], x
+            out.write(table.tobytes())
+            n += len(x)
+        if out is not None:
+            out.close()
+            part = TaskContext.get().partitionId()
+            fs.move(name, f"{root}/part-{part:06d}.fvecs")
+            yield pa.RecordBatch.from_pydict({"part": pa.array([part], pa.int32()), "path": [f"part-{part:06d}.fvecs"], "n": pa.array([n], pa.int64())})
+
+    ranged = df.select("id", "vec").repartitionByRange(files, "id").sortWithinPartitions("id")
+    rows = sorted(ranged.mapInArrow(write, "part int, path string, n long").collect())  # one row per file
+    first = np.cumsum([0, *(r["n"] for r in rows)]).tolist()
+    return df.sparkSession.createDataFrame([(r["path"], first[i], r["n"]) for i, r in enumerate(rows)], "path string, first long, n long")
+
+
+def read_vector_files(spark: SparkSession, path: str, with_path: bool = False) -> DataFrame:
     """Length-prefixed float records (int32 dimension, then float32 values), ids by position in a file."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -139,9 +185,10 @@ def read_vector_files(spark: SparkSession, path: str) -> DataFrame:
                 for lo in range(0, len(table), 1024):
                     x = table["x"][lo : lo + 1024].astype(np.float64)
                     offsets = pa.array(np.arange(len(x) + 1, dtype=np.int32) * dim)
-                    yield pa.RecordBatch.from_arrays([pa.array(np.arange(lo, lo + len(x))), pa.ListArray.from_arrays(offsets, pa.array(x.ravel()))], ["id", "vec"])
+                    rows = [pa.array(np.arange(lo, lo + len(x))), pa.ListArray.from_arrays(offsets, pa.array(x.ravel()))]
+                    yield pa.RecordBatch.from_arrays([*rows, pa.array([name] * len(x))] if with_path else rows, ["id", "vec", "path"] if with_path else ["id", "vec"])
 
-    return spark.read.format("binaryFile").load(path).select("path", "content").mapInArrow(run, _VEC)
+    return spark.read.format("binaryFile").load(path).select("path", "content").mapInArrow(run, f"{_VEC}, path string" if with_path else _VEC)
 
 
 def vector_record(vec: list[float]) -> bytes:

@@ -2,22 +2,20 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from subvote.operators.engine import IndexParams, SearchParams, build_index, search
+from subvote.session import scratch
 from subvote.sources import vectors as sources
 from subvote.sources.tables import load
 from subvote.streaming import engine
 
 
 def _folder(spark: SparkSession) -> str:
-    root = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="subvote-stream-")
-    return f"{root}/stream-{uuid.uuid4().hex}"
+    return scratch(spark, "stream")
 
 
 def _events(spark: SparkSession, sf_dir: str, folder: str, parts: int = 4) -> DataFrame:
@@ -95,6 +93,14 @@ def q_stream_append(spark, sf_dir):
     return search(index, queries, 10, SearchParams("guaranteed", 1.0, 0.01))
 
 
+def q_stream_top_alerts(spark, sf_dir):
+    """The event that holds each user's largest value after the whole stream, from the alerts."""
+    folder = _folder(spark)
+    alerts = _sink(engine.top_alerts(_events(spark, sf_dir, folder, 1), k=3, idle=10 * 365 * 86400, late="3650 days"), folder)
+    best = alerts.filter("kind = 'alert'").groupBy("user_id").agg(F.max("value").alias("top"))
+    return best.select("user_id", F.round("top", 4).alias("top"))
+
+
 def q_stream_queries(spark, sf_dir):
     """Queries arrive as a stream against a fixed index."""
     folder = _folder(spark)
@@ -109,7 +115,7 @@ def q_stream_drift(spark, sf_dir):
     folder = _folder(spark)
     calm = sources.embeddings(spark, sf_dir)
     loud = sources.decayed(calm, 0.8).select((F.col("id") + 1_000_000).alias("id"), F.transform("vec", lambda x: x * 30).alias("vec"))
-    monitor = engine.DriftMonitor(64)
+    monitor = engine.DriftMonitor(64, folder=f"{folder}/state")
     rows = monitor.watch(_vector_files(spark, calm.unionByName(loud), folder, 4), f"{folder}/cp")
     return spark.createDataFrame([(*r, monitor.rebuild) for r in rows], "batch int, rows long, cev double, rotate boolean, rebuild boolean")
 
@@ -126,6 +132,7 @@ def oracle_sql() -> dict[str, str]:
         "q_stream_dedup": "SELECT event_id, user_id FROM events",
         "q_stream_user_totals": "SELECT user_id, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY user_id",
         "q_stream_join": "SELECT p.event_id AS purchase_id, v.event_id AS view_id FROM events p JOIN events v ON p.user_id = v.user_id AND p.event_type = 'purchase' AND v.event_type = 'view' AND p.ts >= v.ts AND p.ts <= v.ts + INTERVAL 1 HOUR",
+        "q_stream_top_alerts": "SELECT user_id, round(max(value), 4) AS top FROM events WHERE value IS NOT NULL GROUP BY user_id",
         "q_stream_append": ann["q_exact_knn"],
         "q_stream_queries": ann["q_search_guaranteed"],
         "q_stream_tumbling": "WITH w AS (SELECT date_trunc('hour', ts) AS s, event_type, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY ALL) SELECT event_type, n, total, strftime(s, '%Y-%m-%d %H:%M:%S') AS start FROM w WHERE s + INTERVAL 1 HOUR <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR",

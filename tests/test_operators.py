@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from subvote.functions import bounds
 from subvote.functions import vectors as V
-from subvote.operators import activation, candidates, cells, codebooks, exact, graph, learned_pq, metrics, onebit_ivf, refine, rotation, spectral
+from subvote.operators import activation, candidates, cells, codebooks, engine, exact, graph, learned_pq, metrics, onebit_ivf, refine, rotation, spectral
 from subvote.operators.arrow import sign_words
 from subvote.operators.engine import IndexParams, SearchParams, append, build_index, choose, counters, filtered_knn, footprint, load_index, save_index, search, search_relational
 from subvote.operators.subspaces import uniform_layout, variance_layout
@@ -279,3 +279,38 @@ def test_filters_and_planner(spark, sf, e64):
     assert rows(wide) == rows(pre)
     assert choose(10**9, 1024, 100, None) == "exact" and choose(10**3, 8, 1, object()) == "exact" and choose(10**9, 1024, 100, object()) == "index"
     assert candidates.tau(0.25, 8) == 2 and candidates.tau(0.26, 8) == 3 and activation.budget(0.2, 450) == 90
+
+
+@pytest.mark.parametrize("mode, cut", [("guaranteed", None), ("optimized", 4)])
+def test_places_of_cells_stand_for_lists(spark, monkeypatch, mode, cut):
+    """Both forms of an activation, as cells and as the places of the last ones, give the same rows."""
+    df = sources.synthetic(spark, 600, 16, partitions=3)
+    index = engine.build_index(df.filter("id >= 20"), engine.IndexParams(m=4, k=9, iters=2, policy="never", shard_rows=200, storage="f8"))
+    params = engine.SearchParams(mode, 0.1, 0.5, rank_cut=cut)
+    queries = df.filter("id < 20")
+    want = sorted(engine.search(index, queries, 5, params).collect())
+    monkeypatch.setattr(engine, "ACTIVE_BYTES", 0)
+    assert sorted(engine.search(index, queries, 5, params).collect()) == want
+
+
+def test_large_codebooks(spark):
+    """700 centroids a half: 490,000 cells a subspace, of which shards store the occupied ones only."""
+    df = sources.synthetic(spark, 6000, 16, latent=3, partitions=4).persist()
+    index = engine.build_index(df, engine.IndexParams(m=4, k=700, iters=1, policy="never", shard_rows=2000))
+    stored = engine.footprint(index).filter("component = 'offsets'").first()["bytes"]
+    assert stored < 6000 * 4 * 12
+    queries = df.filter("id % 500 = 0")
+    got = engine.search(index, queries, 3, engine.SearchParams("guaranteed", 0.1, 0.5))
+    recall = metrics.recall(got, exact.knn(df, queries, 3), 3).first()["recall"]
+    assert recall > 0.9
+
+
+def test_copies_at_the_boundary_go_by_id(spark):
+    """Thousands of equal vectors: the smallest ids stay, however rows are spread."""
+    rows = [(i, [1.0, 2.0, 3.0, 4.0]) for i in range(900)] + [(1000 + i, [float(i), 0.0, 0.0, 0.0]) for i in range(50)]
+    df = spark.createDataFrame(rows, "id long, vec array<double>")
+    queries = spark.createDataFrame([(0, [1.0, 2.0, 3.0, 4.0])], "id long, vec array<double>")
+    assert [r["id"] for r in exact.knn(df.repartition(2), queries, 5).orderBy("rank").collect()] == [0, 1, 2, 3, 4]
+    index = engine.build_index(df, engine.IndexParams(m=2, k=4, iters=1, policy="never", shard_rows=2000))
+    got = engine.search(index, queries, 5, engine.SearchParams("guaranteed", 1.0, 0.01)).orderBy("rank").collect()
+    assert [r["id"] for r in got] == [0, 1, 2, 3, 4]

@@ -86,3 +86,51 @@ def test_drift_monitor(spark, sf, tmp_path):
     loud = sources.decayed(calm, 0.7).withColumn("vec", F.transform("vec", lambda x: x * 100))
     monitor.update(loud, 99)
     assert monitor.rebuild
+
+
+def test_append_survives_restart_and_replay(spark, tmp_path):
+    """What a first run added is there after a restart, and a batch that runs again is not added twice."""
+    folder = f"file://{tmp_path}"
+    df = sources.synthetic(spark, 300, 16, partitions=2)
+    base = build_index(df.filter("id < 100"), IndexParams(m=2, k=4, iters=1, policy="never", shard_rows=64))
+    stream = lambda: engine.file_stream(spark, f"{folder}/in", "id long, vec array<double>", 1)
+    df.filter("id >= 100 and id < 200").write.mode("append").parquet(f"{folder}/in")
+    assert engine.append_stream(stream(), base, f"{folder}/cp").n == 200
+    df.filter("id >= 200").write.mode("append").parquet(f"{folder}/in")
+    again = build_index(df.filter("id < 100"), IndexParams(m=2, k=4, iters=1, policy="never", shard_rows=64))
+    index = engine.append_stream(stream(), again, f"{folder}/cp")
+    assert index.n == 300 and int(index.counts[0].sum()) == 300
+    from subvote.operators.engine import append_saved, load_index
+
+    append_saved(index, df.filter("id >= 100 and id < 200"), f"{folder}/cp-index", 0)
+    assert load_index(spark, f"{folder}/cp-index").n == load_index(spark, f"{folder}/cp-index").counts[0].sum()
+    got = search(load_index(spark, f"{folder}/cp-index"), df.filter("id % 50 = 0"), 1, SearchParams("guaranteed", 1.0, 0.01)).collect()
+    assert sorted((r["query_id"], r["id"]) for r in got) == [(i, i) for i in range(0, 300, 50)]
+
+
+def test_drift_state_survives_restart_and_replay(spark, tmp_path):
+    folder = f"file://{tmp_path}"
+    df = sources.synthetic(spark, 200, 8, partitions=1)
+    stream = lambda: engine.file_stream(spark, f"{folder}/in", "id long, vec array<double>", 1)
+    df.filter("id < 120").coalesce(1).write.mode("append").parquet(f"{folder}/in")
+    first = engine.DriftMonitor(8, folder=f"{folder}/state").watch(stream(), f"{folder}/cp")
+    df.filter("id >= 120").coalesce(1).write.mode("append").parquet(f"{folder}/in")
+    monitor = engine.DriftMonitor(8, folder=f"{folder}/state")
+    rows = monitor.watch(stream(), f"{folder}/cp")
+    assert [r[1] for r in rows] == [*(r[1] for r in first), 200]
+    monitor.update(df.filter("id >= 120"), rows[-1][0])  # the batch runs again
+    assert monitor.n == 200
+    assert [r[1] for r in engine.DriftMonitor(8, folder=f"{folder}/state").watch(stream(), f"{folder}/cp")] == [r[1] for r in rows]
+
+
+def test_top_alerts_expire(spark, tmp_path):
+    folder = str(tmp_path)
+    write(spark, folder, "in", [(1, at(1), 1, "view", 1.0), (2, at(1, 5), 1, "view", 3.0), (3, at(1, 6), 1, "view", 2.0), (4, at(1, 7), 1, "view", 0.5)])
+    out = sink(engine.top_alerts(read(spark, folder, "in"), k=2, idle=600, late="1 minute"), folder)
+    assert {(r["event_id"], r["place"]) for r in out.collect()} == {(1, 1), (2, 1), (3, 2)}
+    write(spark, folder, "in", [(5, at(9), 2, "view", 1.0)])
+    sink(engine.top_alerts(read(spark, folder, "in"), k=2, idle=600, late="1 minute"), folder)
+    write(spark, folder, "in", [(6, at(9, 30), 2, "view", 0.1)])
+    out = sink(engine.top_alerts(read(spark, folder, "in"), k=2, idle=600, late="1 minute"), folder)
+    gone = [r for r in out.collect() if r["kind"] == "gone"]
+    assert [(r["user_id"], r["value"]) for r in gone] == [(1, 2.0)]
