@@ -25,9 +25,10 @@ def recall(result: DataFrame, truth: DataFrame, k: int) -> DataFrame:
     return recall_per_query(result, truth, k).agg(F.avg("recall").alias("recall"), F.count("*").alias("queries"))
 
 
-def timed(plan: Callable[[], DataFrame], runs: int = 3) -> tuple[float, list[float]]:
+def timed(plan: Callable[[], DataFrame], runs: int = 3, warm: bool = True) -> tuple[float, list[float]]:
     """Median and all wall seconds of a plan written to nowhere, after one warm run."""
-    plan().write.format("noop").mode("overwrite").save()
+    if warm:
+        plan().write.format("noop").mode("overwrite").save()
     seconds = []
     for _ in range(runs):
         begin = time.perf_counter()
