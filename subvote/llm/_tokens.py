@@ -13,6 +13,7 @@ hash belongs to another piece is encoded whole as well.
 from __future__ import annotations
 
 import os
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -122,8 +123,8 @@ def pieces(words: Words, spaced: bool) -> tuple[np.ndarray, np.ndarray]:
 class Encoder:
     """Ids of every text of a column, slice by slice.
 
-    `measure(texts, whole)` returns one integer array per text; whole texts may hold
-    anything, the others are single pieces of Latin text.
+    `measure(texts, whole)` returns the number of values per text and all values as one
+    array; whole texts may hold anything, the others are single pieces of Latin text.
     """
 
     def __init__(self, measure, spaced: bool, limit: int = 1 << 20):
@@ -134,12 +135,11 @@ class Encoder:
         self.memo.clear()
         self.at = np.zeros(1, np.int64)
         self.flat = np.empty(0, np.int32)
-        self.known = np.empty((0, 3), U64)
+        self.known = [np.empty(0, U64), np.empty(0, U64), np.empty(0, np.int64)]
 
-    def _append(self, found: list[np.ndarray]) -> None:
-        sizes = np.fromiter((len(x) for x in found), np.int64, len(found))
+    def _append(self, sizes: np.ndarray, flat: np.ndarray) -> None:
         self.at = np.concatenate([self.at, self.at[-1] + np.cumsum(sizes)])
-        self.flat = np.concatenate([self.flat, *found]) if found else self.flat
+        self.flat = np.concatenate([self.flat, flat])
 
     def slices(self, column: pa.Array, limit: int = 2 << 20):
         """Yields (first row, row after the last, ids per document, all ids)."""
@@ -159,11 +159,13 @@ class Encoder:
             spans = Spans(buf, starts, ends)
             keys, index, back = np.unique(spans.hash(), return_index=True, return_inverse=True)
             slots = self.memo.find(keys)
-            mine = np.stack([spans.low, spans.high, spans.size.astype(U64)], axis=1)
-            have = mine[index]
-            known = slots >= 0
-            have[known] = self.known[slots[known]]
-            other = (mine != have[back]).any(axis=1)
+            known = np.flatnonzero(slots >= 0)
+            have, other = [], np.zeros(len(starts), dtype=bool)
+            for mine, stored in zip((spans.low, spans.high, spans.size), self.known, strict=True):
+                first = mine[index]
+                first[known] = stored[slots[known]]
+                have.append(first)
+                other |= mine != first[back]
             if not other.any():
                 break
             bad[doc[other]] = True
@@ -171,17 +173,16 @@ class Encoder:
         if len(new):
             raw = buf.tobytes()
             texts = [raw[s:e].decode() for s, e in zip(starts[index[new]].tolist(), ends[index[new]].tolist(), strict=True)]
-            self._append(self.measure(texts, False))
+            self._append(*self.measure(texts, False))
             slots[new] = self.memo.add(keys[new])
-            self.known = np.concatenate([self.known, have[new]])
+            self.known = [np.concatenate([old, more[new]]) for old, more in zip(self.known, have, strict=True)]
         at, size = self.at[slots], self.at[slots + 1] - self.at[slots]
         flat, at, size = self.flat, at[back], size[back]
         if bad.any():
             raw, which = buf.tobytes(), np.flatnonzero(bad)
-            found = self.measure([raw[offs[d] : offs[d + 1]].decode() for d in which], True)
-            sizes = np.fromiter((len(x) for x in found), np.int64, len(found))
+            sizes, found = self.measure([raw[offs[d] : offs[d + 1]].decode() for d in which], True)
             more = len(flat) + np.cumsum(sizes) - sizes
-            flat = np.concatenate([flat, *found])
+            flat = np.concatenate([flat, found])
             order = np.argsort(np.concatenate([doc, which]), kind="stable")
             at, size, doc = np.concatenate([at, more])[order], np.concatenate([size, sizes])[order], np.concatenate([doc, which])[order]
         per_doc = np.bincount(doc, weights=size, minlength=len(offs) - 1).astype(np.int64)
@@ -196,10 +197,14 @@ def id_encoder(path: str, spaced: bool) -> Encoder:
     if (path, spaced) not in _encoders:
         library = tokenizer(path)
 
-        def measure(texts: list[str], whole: bool) -> list[np.ndarray]:
-            return [np.array(x.ids, np.int32) for x in library.encode_batch_fast(texts, add_special_tokens=False)]
-
-        _encoders[path, spaced] = Encoder(measure, spaced)
+        _encoders[path, spaced] = Encoder(lambda texts, whole: library_ids(library, texts), spaced)
     return _encoders[path, spaced]
 
 
+def library_ids(library, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """(ids per text, all ids) as the library gives them."""
+    found = [x.ids for x in library.encode_batch_fast(texts, add_special_tokens=False)]
+    sizes = np.fromiter(map(len, found), np.int64, len(found))
+    return sizes, np.fromiter(chain.from_iterable(found), np.int32, int(sizes.sum()))
+
+

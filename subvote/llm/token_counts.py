@@ -113,8 +113,8 @@ class Merger:
         symbols[ends] = closing[points[ends]]
         return self.merge(symbols, lengths)
 
-    def measure(self, texts: list[str], whole: bool) -> list[np.ndarray]:
-        """Counts of texts, one array of one value each (the form `Encoder` takes)."""
+    def measure(self, texts: list[str], whole: bool) -> tuple[np.ndarray, np.ndarray]:
+        """Counts of texts, one value each (the form `Encoder` takes)."""
         owners, pieces, fixed = [], [], np.zeros(len(texts), np.int64)
         split, clean = self.library.pre_tokenizer.pre_tokenize_str, self.library.normalizer
         for i, text in enumerate(texts):
@@ -128,11 +128,11 @@ class Merger:
                     pieces.extend(p for p, _ in found)
                     owners.append((i, len(found)))
         if not pieces:
-            return list(fixed.astype(np.int32).reshape(-1, 1))
+            return np.ones(len(texts), np.int64), fixed.astype(np.int32)
         counts = self.count_pieces(pieces)
         owner = np.repeat(np.array([o for o, _ in owners]), np.array([n for _, n in owners]))
         total = fixed + np.bincount(owner, weights=counts, minlength=len(texts)).astype(np.int64)
-        return list(total.astype(np.int32).reshape(-1, 1))
+        return np.ones(len(texts), np.int64), total.astype(np.int32)
 
 
 _counters: dict[str, Encoder] = {}

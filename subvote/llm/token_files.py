@@ -37,6 +37,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from subvote.llm._store import delete, list_names, materialize, new_path, text_tag
+from subvote.llm._text import ragged
 from subvote.llm._tokens import id_encoder
 from subvote.llm._worker import tidied
 
@@ -60,7 +61,7 @@ class ShardWriter:
 
     def add(self, doc_id: int | None, ids: np.ndarray) -> None:
         self.ids.append(doc_id)
-        self._frame(ids.astype("<u4").tobytes())
+        self._frame(ids.astype("<u4", copy=False).tobytes())
 
     def close(self) -> None:
         flags = np.array([i is None for i in self.ids], np.uint8)
@@ -130,9 +131,13 @@ def write_token_files(
                 out = fs.open_output_stream(mine)
                 writer = ShardWriter(out)
             for lo, _, counts, flat in encoder.slices(batch.column(1)):
-                n_tokens += int(counts.sum()) + len(counts)
-                for j, ids in enumerate(np.split(flat, np.cumsum(counts)[:-1])):
-                    writer.add(doc_ids[lo + j], np.append(ids, end_id))
+                sizes = counts + 1
+                ends = np.cumsum(sizes)
+                ids = np.full(int(sizes.sum()), end_id, "<u4")
+                ids[np.repeat(ends - sizes, counts) + ragged(counts)] = flat
+                n_tokens += len(ids)
+                for j, (a, b) in enumerate(zip((ends - sizes).tolist(), ends.tolist(), strict=True)):
+                    writer.add(doc_ids[lo + j], ids[a:b])
         if writer is None:
             return
         writer.close()

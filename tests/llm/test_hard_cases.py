@@ -49,10 +49,10 @@ def test_words_of_equal_polynomial_sums_differ(spark):
 @pytest.mark.parametrize("name, spaced", [("word_bpe_49k.json", False), ("byte_bpe_50k.json", True)])
 def test_memo_compares_pieces(monkeypatch, name, spaced):
     """With one hash for all pieces, every text is still encoded right."""
-    from subvote.llm._tokens import Encoder, tokenizer
+    from subvote.llm._tokens import Encoder, library_ids, tokenizer
 
     library = tokenizer(public_tokenizers.path(name))
-    encoder = Encoder(lambda texts, whole: [np.array(x.ids, np.int32) for x in library.encode_batch_fast(texts, add_special_tokens=False)], spaced)
+    encoder = Encoder(lambda texts, whole: library_ids(library, texts), spaced)
     monkeypatch.setattr(_text.Spans, "hash", lambda self, salt=0: np.zeros(len(self.size), np.uint64))
     texts = ["one two three", "two", "one", "one one", "a longer word than sixteen bytes", ""]
     for _ in range(2):
