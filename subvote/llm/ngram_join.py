@@ -161,12 +161,11 @@ class Join:
             rows.filter("n > 0").groupBy("sid").agg(F.min("doc_id").alias("least"), F.min(F.struct("doc_id", "tag")).alias("at"), F.first("n").alias("n"), F.first("prefix").alias("prefix")), "join-sets"
         )
         meeting = self._meeting(sets)
-        links = self._links(sets, meeting)
-        roots = components(links, "join-components")
-        named = sets.select("sid", "least").join(roots.withColumnRenamed("node", "sid"), "sid", "left").withColumn("root", F.coalesce("root", "sid"))
+        roots = self._roots(sets, meeting)
+        named = sets.select("sid", "least").join(roots, "sid", "left").withColumn("root", F.coalesce("root", "sid"))
         names = named.groupBy("root").agg(F.min("least").alias("component_id"))
         named = materialize(named.join(names, "root").select("sid", "root", "component_id"), "join-named")
-        for table in (*self.tables, roots):
+        for table in self.tables:
             discard(table)
         return rows.drop("prefix"), named
 
@@ -242,7 +241,8 @@ class Join:
         agree = agree.withColumn("required", self._least_required(F.col("n"), low, high)).groupBy("sid", "n", "mine", "group", "required").agg(F.count("*").alias("common"))
         return agree.filter(F.col("common") >= F.col("required")).select("sid", "n", "mine", "group")
 
-    def _links(self, sets: DataFrame, meeting: DataFrame) -> DataFrame:
+    def _roots(self, sets: DataFrame, meeting: DataFrame) -> DataFrame:
+        """(sid, root) of the sets that meet others: the least set of their component."""
         percent = self.percent
         surviving = self._table(self._surviving(meeting), "join-surviving")
         members = self._table(surviving.select("sid", "n", F.col("mine").alias("group")).distinct(), "join-members")
@@ -263,9 +263,14 @@ class Join:
         members = members.join(roots.withColumnRenamed("node", "sid"), "sid", "left").withColumn("root", F.coalesce("root", "sid"))
         members = self._table(members, "join-rooted")
         opened = self._table(self._candidates(surviving, members, full), "join-opened")
-        links = star.union(self._open(opened, members, full)) if not opened.isEmpty() else star
-        links = self._table(links, "join-links")
-        return links
+        if opened.isEmpty():
+            return members.select("sid", "root")
+        # Opened groups join whole components of the leaders' links, so only their roots are linked anew.
+        ends = lambda side: members.select(F.col("sid").alias(side), F.col("root").alias(f"{side}_root"))
+        found = self._open(opened, members, full).join(ends("a"), "a").join(ends("b"), "b")
+        tops = components(found.select(F.col("a_root").alias("a"), F.col("b_root").alias("b")), "join-components")
+        tops = tops.select(F.col("node").alias("root"), F.col("root").alias("top"))
+        return members.select("sid", "root").join(tops, "root", "left").select("sid", F.coalesce("top", "root").alias("root"))
 
     def _full_sets(self, sets: DataFrame, members: DataFrame) -> DataFrame:
         """(sid, tokens) of the sets that meet others, from their texts."""
