@@ -218,9 +218,12 @@ def q_conditional_agg(spark, sf_dir):
 
 @query("SELECT label, bit_or(1::BIGINT << (vec_id % 60)) AS held, bit_xor(vec_id) AS folded, count(DISTINCT vec_id) AS ids FROM embeddings GROUP BY label")
 def q_bit_aggs(spark, sf_dir):
-    return load(spark, sf_dir, "embeddings").groupBy("label").agg(
-        F.bit_or(F.expr("shiftleft(CAST(1 AS BIGINT), CAST(vec_id % 60 AS INT))")).alias("held"), F.bit_xor("vec_id").alias("folded"), F.bitmap_count(F.bitmap_construct_agg(F.bitmap_bit_position(F.col("vec_id") + 1))).alias("ids")
+    """A bitmap holds the positions of one bucket of ids only, so buckets are counted apart and added up."""
+    rows = load(spark, sf_dir, "embeddings").withColumn("bucket", F.bitmap_bucket_number("vec_id"))
+    parts = rows.groupBy("label", "bucket").agg(
+        F.bit_or(F.expr("shiftleft(CAST(1 AS BIGINT), CAST(vec_id % 60 AS INT))")).alias("held"), F.bit_xor("vec_id").alias("folded"), F.bitmap_count(F.bitmap_construct_agg(F.bitmap_bit_position("vec_id"))).alias("ids")
     )
+    return parts.groupBy("label").agg(F.bit_or("held").alias("held"), F.bit_xor("folded").alias("folded"), F.sum("ids").alias("ids"))
 
 
 @query("SELECT o_custkey, count(*) AS n FROM orders GROUP BY o_custkey HAVING count(*) > 12 UNION ALL SELECT -1, (SELECT count(*) FROM orders WHERE o_orderkey < 0)")
