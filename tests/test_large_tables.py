@@ -27,3 +27,15 @@ def same(spark, tmp_path):
 
 def test_bit_aggs_beyond_one_bitmap(same):
     same("q_bit_aggs", embeddings="SELECT range::BIGINT AS vec_id, [1.0::FLOAT] AS embedding, (range % 3)::INT AS label FROM range(100000)")
+
+
+def test_sort_nulls_over_many_partitions(spark, same):
+    before = {k: spark.conf.get(k) for k in ("spark.sql.shuffle.partitions", "spark.sql.adaptive.advisoryPartitionSizeInBytes")}
+    spark.conf.set("spark.sql.shuffle.partitions", "12")
+    spark.conf.set("spark.sql.adaptive.advisoryPartitionSizeInBytes", "1m")
+    try:
+        customers = "SELECT CASE WHEN range % 2 = 0 THEN range ELSE -range END::BIGINT AS c_custkey, CASE WHEN range % 31 < 25 THEN range % 31 END::INT AS c_nationkey FROM range(300000)"
+        same("q_sort_nulls", customer=customers)
+    finally:
+        for k, v in before.items():
+            spark.conf.set(k, v)
