@@ -1,9 +1,11 @@
 """Queries on tables larger or more split than the given ones: the SQL form holds there too."""
 
 import duckdb
+import numpy as np
 import pytest
 
 import __spark_entry__ as entry
+from subvote.operators import exact
 from tests.test_queries import table
 
 
@@ -39,3 +41,31 @@ def test_sort_nulls_over_many_partitions(spark, same):
     finally:
         for k, v in before.items():
             spark.conf.set(k, v)
+
+
+def test_exact_neighbours_join_blocks(spark):
+    """Blocks of vectors are joined, not single pairs; copies, ties and null vectors included."""
+    x = np.round(np.random.default_rng(3).normal(size=(3000, 5)), 2)
+    x[1500:1700] = x[:200]
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)] + [(-1, None)], "id long, vec array<double>")
+    base, queries = df.filter("id % 3 != 0"), df.filter("id % 3 = 0")
+    found = exact.knn_relational(base, queries, 4)
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    assert "MapInArrow" in plan and "zip_with" not in plan
+    got = {(r["query_id"], r["rank"]): (r["id"], r["dist2"]) for r in found.collect()}
+    ids = np.flatnonzero(np.arange(3000) % 3)
+    want = {}
+    for q in range(0, 3000, 3):
+        d2 = np.round(((x[ids] - x[q]) ** 2).sum(axis=1), 6)
+        want |= {(q, rank): (int(ids[i]), float(d2[i])) for rank, i in enumerate(np.lexsort((ids, d2))[:4], start=1)}
+    assert got == want
+
+
+#: Queries that measured every pair as a row, with more columns of their own around it.
+BLOCKED = ["q_exact_knn"]
+
+
+@pytest.mark.parametrize("name", BLOCKED)
+def test_truth_is_read_from_blocks(spark, sf, name):
+    plan = entry.queries()[name](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+    assert "base_vecs" in plan and "zip_with(vec" not in plan
