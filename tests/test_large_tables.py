@@ -62,7 +62,7 @@ def test_exact_neighbours_join_blocks(spark):
 
 
 #: Queries that measured every pair as a row, with more columns of their own around it.
-BLOCKED = ["q_exact_knn", "q_exact_nn1", "q_filtered_knn_post", "q_label_purity", "q_lid", "q_estimate_p", "q_dependence"]
+BLOCKED = ["q_exact_knn", "q_exact_nn1", "q_filtered_knn_post", "q_label_purity", "q_lid", "q_estimate_p", "q_dependence", "q_bounds_het"]
 
 
 @pytest.mark.parametrize("name", BLOCKED)
