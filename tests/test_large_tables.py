@@ -1,11 +1,14 @@
 """Queries on tables larger or more split than the given ones: the SQL form holds there too."""
 
+from dataclasses import replace
+
 import duckdb
 import numpy as np
 import pytest
 
 import __spark_entry__ as entry
-from subvote.operators import exact
+from subvote.operators import candidates, exact, metrics, scoring
+from subvote.plans import ann
 from tests.test_queries import table
 
 
@@ -69,3 +72,26 @@ BLOCKED = ["q_exact_knn", "q_exact_nn1", "q_filtered_knn_post", "q_label_purity"
 def test_truth_is_read_from_blocks(spark, sf, name):
     plan = entry.queries()[name](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
     assert "base_vecs" in plan and "zip_with(vec" not in plan
+
+
+@pytest.mark.parametrize("fraction", [0.25, 0.5, 0.9, 1.0])
+def test_counts_of_candidates_without_their_rows(spark, sf, fraction):
+    """Dense counts give what the rows of the candidates give, with and without the fallback."""
+    s = ann.Small(spark, sf)
+    params = replace(ann.GUARANTEED, min_fraction=fraction)
+    rows, active, assigned = s.stage(params, "candidates").persist(), s.stage(params, "activations").persist(), s.assigned().persist()
+    dense, truth = s.summary(params, active, assigned), s.truth().persist()
+    assert tuple(metrics.summary_stats(dense, s.n, ann.TOP).first()) == pytest.approx(tuple(metrics.candidate_stats(rows, s.n).first()), rel=1e-12)
+    pairs = scoring.pair_scores(active, assigned, truth, 0)
+    found = metrics.summary_recall(dense, pairs, candidates.tau(fraction, ann.M), ann.TOP).first()
+    assert tuple(found) == pytest.approx(tuple(metrics.candidate_recall(rows, truth, ann.TOP).first()), rel=1e-12)
+
+
+#: Queries that made a row of every vote.
+COUNTED = ["q_candidate_stats"]
+
+
+@pytest.mark.parametrize("name", COUNTED)
+def test_votes_are_not_rows(spark, sf, name):
+    plan = entry.queries()[name](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+    assert "query_weights" in plan
