@@ -88,7 +88,7 @@ def test_counts_of_candidates_without_their_rows(spark, sf, fraction):
 
 
 #: Queries that made a row of every vote.
-COUNTED = ["q_candidate_stats"]
+COUNTED = ["q_candidate_stats", "q_candidate_recall"]
 
 
 @pytest.mark.parametrize("name", COUNTED)
