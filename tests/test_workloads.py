@@ -1,5 +1,8 @@
 """Workloads run on the smallest tables and their figures keep the relations they are about."""
 
+from dataclasses import replace
+
+from subvote.operators.engine import SearchParams, pair_votes, search
 from subvote.plans import workloads
 
 
@@ -28,3 +31,13 @@ def test_grid_rows(spark, sf):
     rows = workloads.grids(spark, sf, "E64", (8,), (0.06, 0.4), (0.15, 0.25), (2,)).collect()
     by = {(r["mode"], r["ratio"], r["fraction"]): r["recall"] for r in rows}
     assert len(by) == 8 and by["guaranteed", 0.4, 0.25] >= by["guaranteed", 0.06, 0.25]
+
+
+def test_votes_of_given_pairs(spark, sf):
+    """The votes of chosen pairs are those of a whole search, and no other row leaves the shards."""
+    b = workloads.Bench(spark, sf, "E64")
+    index, _ = b.build(replace(workloads.BUILD, m=8, iters=3, shard_rows=100))
+    pairs = b.truth.filter("rank <= 2").select("query_id", "id")
+    got = {(r["query_id"], r["id"]): r["score"] for r in pair_votes(index, b.queries, pairs, 0.2).collect()}
+    whole = search(index, b.queries, b.n, SearchParams("guaranteed", 0.2, 1 / 8), details=True).filter("kind = 'near'").join(pairs, ["query_id", "id"])
+    assert got and got == {(r["query_id"], r["id"]): r["score"] for r in whole.collect()}
