@@ -5,9 +5,10 @@ from dataclasses import replace
 import duckdb
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
-from subvote.operators import candidates, exact, metrics, scoring
+from subvote.operators import candidates, exact, metrics, refine, scoring, whole
 from subvote.plans import ann
 from tests.test_queries import table
 
@@ -95,3 +96,28 @@ COUNTED = ["q_candidate_stats", "q_candidate_recall"]
 def test_votes_are_not_rows(spark, sf, name):
     plan = entry.queries()[name](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
     assert "query_weights" in plan
+
+
+@pytest.mark.parametrize("change", [{"use_hamming": False}, {"use_sampling": False}, {"patience_factor": None}, {"min_fraction": 1.6}])
+def test_optimized_search_in_blocks(spark, sf, monkeypatch, change):
+    """Blocks give what rows of votes, candidates and measures give, with and without the fallback."""
+    monkeypatch.setattr(whole, "BASE_ROWS", 97)
+    s, params = ann.Small(spark, sf), replace(ann.OPTIMIZED, **change)
+    columns = ["query_id", "rank", "id", "dist2", "started", "completed", "pruned", "dims", "stopped"]
+    got = s.stage(params)
+    patience = None if params.patience_factor is None else int(params.patience_factor * ann.TOP)
+    rows = refine.fold_queries(s.stage(params, "ordered"), s.base, s.queries, ann.TOP, patience=patience, sampling=params.use_sampling).persist()
+    assert sorted(got.select(columns).collect()) == sorted(rows.select(columns).collect())
+    truth = s.truth().persist()
+    pruned = rows.select("query_id", F.explode("pruned_ids").alias("id"))
+    assert tuple(metrics.false_prunes(got, truth).first()) == (pruned.join(truth, ["query_id", "id"]).count(), pruned.count())
+
+
+#: Optimized searches that made a row of every vote and candidate.
+DENSE = ["q_ablate_no_hamming"]
+
+
+@pytest.mark.parametrize("name", DENSE)
+def test_candidates_are_not_rows(spark, sf, name):
+    plan = entry.queries()[name](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+    assert "base_cells" in plan and "zip_with" not in plan
