@@ -114,7 +114,7 @@ def test_optimized_search_in_blocks(spark, sf, monkeypatch, change):
 
 
 #: Optimized searches that made a row of every vote and candidate.
-DENSE = ["q_ablate_no_hamming", "q_ablate_no_sampling", "q_dim_sampling"]
+DENSE = ["q_ablate_no_hamming", "q_ablate_no_sampling", "q_dim_sampling", "q_false_prunes"]
 
 
 @pytest.mark.parametrize("name", DENSE)
