@@ -9,7 +9,9 @@ from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from subvote.operators import candidates, exact, metrics, refine, scoring, whole
+from subvote.operators.engine import IndexParams, SearchParams, build_index, search
 from subvote.plans import ann
+from subvote.sources import vectors as sources
 from tests.test_queries import table
 
 
@@ -121,3 +123,24 @@ DENSE = ["q_ablate_no_hamming", "q_ablate_no_sampling", "q_dim_sampling", "q_fal
 def test_candidates_are_not_rows(spark, sf, name):
     plan = entry.queries()[name](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
     assert "base_cells" in plan and "zip_with" not in plan
+
+
+def test_shards_are_searched_once(spark, sf):
+    """One pass over the shards, which are dealt to all cores even where one shard holds the whole table."""
+    b, k = ann.Small(spark, sf), 3
+    found = []
+    for shard_rows in (64, 1 << 20):
+        index = build_index(b.base, IndexParams(m=8, k=8, iters=2, policy="never", shard_rows=shard_rows, storage="f8"))
+        for fraction in (0.25, 1.0):  # the second leaves most queries to the fallback
+            out = search(index, b.queries, k, SearchParams("guaranteed", 0.05, fraction))
+            plan = out._jdf.queryExecution().optimizedPlan().toString()
+            assert plan.count("MapInArrow run") == 1
+            assert search(index, b.queries, k, details=True).rdd.getNumPartitions() >= spark.sparkContext.defaultParallelism
+            found.append(sorted(out.collect()))
+            assert len(found[-1]) == k * b.queries.count()
+    assert found[:2] == found[2:] and found[0] != found[1]
+
+
+def test_hashed_text_is_dealt_out(spark, sf):
+    plan = sources.documents(spark, sf, 768)._jdf.queryExecution().optimizedPlan().toString()
+    assert "element_at" not in plan and "Repartition" in plan
