@@ -144,3 +144,13 @@ def test_shards_are_searched_once(spark, sf):
 def test_hashed_text_is_dealt_out(spark, sf):
     plan = sources.documents(spark, sf, 768)._jdf.queryExecution().optimizedPlan().toString()
     assert "element_at" not in plan and "Repartition" in plan
+
+
+#: Queries on activated cells that made a row of every half distance and every cell of the grids.
+CELLS = ["q_estimate_p"]
+
+
+@pytest.mark.parametrize("name", CELLS)
+def test_grids_are_not_rows(spark, sf, name):
+    plan = entry.queries()[name](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+    assert "query_weights" in plan and "zip_with" not in plan and "half_rank" not in plan
