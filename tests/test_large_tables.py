@@ -147,7 +147,7 @@ def test_hashed_text_is_dealt_out(spark, sf):
 
 
 #: Queries on activated cells that made a row of every half distance and every cell of the grids.
-CELLS = ["q_estimate_p", "q_bounds_het", "q_dependence"]
+CELLS = ["q_estimate_p", "q_bounds_het", "q_dependence", "q_candidate_recall"]
 
 
 @pytest.mark.parametrize("name", CELLS)
