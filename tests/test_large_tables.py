@@ -154,3 +154,14 @@ CELLS = ["q_estimate_p", "q_bounds_het", "q_dependence", "q_candidate_recall"]
 def test_grids_are_not_rows(spark, sf, name):
     plan = entry.queries()[name](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
     assert "query_weights" in plan and "zip_with" not in plan and "half_rank" not in plan
+
+
+def test_order_comes_in_runs():
+    """Runs in order are the whole order, and the first of them leaves the rest unsorted."""
+    rng = np.random.default_rng(5)
+    for n, least in ((20_000, 3), (20_000, 9), (700, 3)):
+        score, key = rng.integers(0, 10, n).astype(np.int16), rng.integers(0, 1100, n).astype(np.int16)
+        runs = list(whole.runs_in_order(score, key, least, 10))
+        assert np.array_equal(np.concatenate(runs), whole.candidates_in_order(score, key, least, 10))
+        assert len(runs[0]) < 1000 and len(runs) < 8
+    assert [len(r) for r in whole.runs_in_order(score, key, 10, 10)] == [10]
