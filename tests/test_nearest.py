@@ -55,3 +55,28 @@ def test_bulk_form_uses_all_cores(spark):
     df = spark.createDataFrame([(int(i), v.tolist()) for i, v in zip(names, x, strict=True)], "id long, vec array<double>").coalesce(1)
     plan = exact.knn(df, df.filter("id < 5"), 3)._jdf.queryExecution().optimizedPlan().toString()
     assert "Repartition" in plan
+
+
+@pytest.mark.parametrize("form", [exact.knn_relational, exact.knn])
+@pytest.mark.parametrize("k", [2, 40])
+def test_tasks_send_packed_rows(spark, monkeypatch, form, k):
+    """Neighbours of a task travel as few rows and meet again: few base rows, copies, distances beyond all numbers."""
+    monkeypatch.setattr(exact, "BASE_ROWS", 7)
+    names, x, q = table(3, 60, 30)
+    x[5], x[6], x[7:20] = 1e200, np.nan, x[20]
+    asked = np.arange(len(q))
+    base = spark.createDataFrame([(int(i), v.tolist()) for i, v in zip(names, x, strict=True)], "id long, vec array<double>")
+    queries = spark.createDataFrame([(int(i), v.tolist()) for i, v in zip(asked, q, strict=True)], "id long, vec array<double>")
+    for some in (base, base.filter("id < 9")):
+        out = form(some, queries, k)
+        assert "RepartitionByExpression [query_ids" in out._jdf.queryExecution().optimizedPlan().toString()
+        got = {}
+        for r in out.collect():
+            got.setdefault(r["query_id"], []).append((r["rank"], r["id"], repr(r["dist2"])))
+        rows = {r["id"] for r in some.collect()}
+        of = np.array([i in rows for i in names])
+        with np.errstate(over="ignore", invalid="ignore"):
+            for i in asked:
+                d2 = np.round(((x[of] - q[i]) ** 2).sum(axis=1), 6)
+                best = np.lexsort((names[of], d2))[:k]
+                assert sorted(got[i]) == [(rank, int(names[of][j]), repr(float(d2[j]))) for rank, j in enumerate(best, start=1)]
