@@ -77,6 +77,16 @@ def test_truth_is_read_from_blocks(spark, sf, name):
     assert "base_vecs" in plan and "zip_with(vec" not in plan
 
 
+def test_label_purity_counts_no_base(spark, sf):
+    """It needs no codebook, so nothing but the schema is read before its one plan runs."""
+    spark.sparkContext.setJobGroup("label_purity", "made, not run")
+    try:
+        entry.queries()["q_label_purity"](spark, sf)
+        assert len(spark.sparkContext.statusTracker().getJobIdsForGroup("label_purity")) <= 1
+    finally:
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+
+
 @pytest.mark.parametrize("fraction", [0.25, 0.5, 0.9, 1.0])
 def test_counts_of_candidates_without_their_rows(spark, sf, fraction):
     """Dense counts give what the rows of the candidates give, with and without the fallback."""
