@@ -3,9 +3,10 @@
 import numpy as np
 import pytest
 
-from subvote.operators import batch, refine
+from subvote.operators import activation, batch, graph, onebit_ivf, refine
 from subvote.operators.arrow import sign_words
 from subvote.operators.engine import IndexParams, SearchParams, build_index, search
+from subvote.operators.subspaces import uniform_layout
 from subvote.sources import vectors as sources
 
 
@@ -57,3 +58,31 @@ def test_a_task_sends_k_rows_of_a_query_whatever_its_shards(spark, sf):
         tasks = raw.rdd.getNumPartitions()
         per = raw.filter("kind = 'near'").groupBy("query_id").count().collect()
         assert tasks < index.shards.count() and per and max(r["count"] for r in per) <= 5 * tasks
+
+
+@pytest.mark.parametrize(("k", "limit", "rank_cut"), [(8, 60, 3), (8, 1, 0), (8, 100_000, 10), (40, 25, 2)])
+def test_weights_of_all_cells_are_those_of_the_walk(k, limit, rank_cut):
+    rng = np.random.default_rng(k)
+    layout = uniform_layout(16, 2)
+    books = [np.round(rng.normal(size=(k, w)), 0) for w in layout.lengths]  # ties in cost
+    counts = rng.integers(0, 3, size=(2, k * k)) * (rng.random((2, k * k)) < 0.2)
+    q = np.round(rng.normal(size=(30, 16)), 0)
+    half = activation.half_matrix(q, layout, books)
+    table = activation.weight_table(q, layout, books, counts, limit, rank_cut).reshape(30, 2, -1)
+    for i in range(30):
+        for m in range(2):
+            cells, _ = activation.activate(half[2 * m][i], half[2 * m + 1][i], counts[m], limit)
+            want = np.zeros(k * k, np.int8)
+            want[cells] = 1
+            want[cells[:rank_cut]] = 2
+            assert (table[i, m] == want).all()
+
+
+def test_graphs_and_clusters_meet_in_several_tasks(spark, sf):
+    base, queries = sources.split(sources.embeddings(spark, sf))
+    world = graph.build(base, 8, 32, 4)
+    assert world.graphs.rdd.getNumPartitions() > 4
+    found = graph.search(world, queries, 5, 32)
+    assert "Repartition" in found._jdf.queryExecution().optimizedPlan().toString()
+    assert found.groupBy("query_id").count().filter("count = 5").count() == queries.count()
+    assert onebit_ivf.build(base, 64, 8, 2).clusters.rdd.getNumPartitions() > 8
