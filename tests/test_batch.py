@@ -86,3 +86,10 @@ def test_graphs_and_clusters_meet_in_several_tasks(spark, sf):
     assert "Repartition" in found._jdf.queryExecution().optimizedPlan().toString()
     assert found.groupBy("query_id").count().filter("count = 5").count() == queries.count()
     assert onebit_ivf.build(base, 64, 8, 2).clusters.rdd.getNumPartitions() > 8
+
+
+def test_votes_of_picked_queries():
+    rng = np.random.default_rng(2)
+    table, places = rng.integers(0, 3, size=(64, 40)).astype(np.int8), rng.integers(0, 64, size=(900, 8))
+    some = np.array([7, 3, 30])
+    assert (batch.votes(table[:, some], places) == table[:, some][places].sum(axis=1).T).all()
